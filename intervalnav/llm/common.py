@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
+import contextlib
 import uuid
+from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -17,31 +19,38 @@ def shared_folder(spark: SparkSession) -> str:
     return folder
 
 
+_written: list[str] = []
+
+
 def written(df: DataFrame, name: str) -> DataFrame:
-    """The frame written once as Parquet in the shared folder and read back: lineage ends here."""
+    """The frame written once as Parquet in the shared folder and read back: lineage ends here.
+
+    The table stays until ``release``, since frames made from it are read later.
+    """
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    _drop_later(spark, path, df)
+    _written.append(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
-_written: list[tuple[str, str]] = []
-
-
-def _drop_later(spark: SparkSession, path: str, _df: DataFrame) -> None:
-    _written.append((spark.sparkContext.applicationId, path))
-
-
-def release(spark: SparkSession, keep: int = 0) -> None:
-    """Deletes the tables that ``written`` has made in this application, except the latest ``keep``."""
+def release(spark: SparkSession, paths: list[str] | None = None) -> None:
+    """Deletes tables that ``written`` has made: the given ones, or all; frames that read them are of no use after."""
     jvm = spark.sparkContext._jvm
     conf = spark.sparkContext._jsc.hadoopConfiguration()
-    own = [x for x in _written if x[0] == spark.sparkContext.applicationId]
-    for entry in own[: len(own) - keep]:
-        target = jvm.org.apache.hadoop.fs.Path(entry[1])
+    for path in list(_written if paths is None else paths):
+        target = jvm.org.apache.hadoop.fs.Path(path)
         target.getFileSystem(conf).delete(target, True)
-        _written.remove(entry)
+        if path in _written:
+            _written.remove(path)
+
+
+@contextlib.contextmanager
+def tables_made() -> Iterator[list[str]]:
+    """Collects the paths of the tables that ``written`` makes meanwhile."""
+    before, paths = len(_written), []
+    yield paths
+    paths += _written[before:]
 
 
 def checkpointed(df: DataFrame) -> DataFrame:
