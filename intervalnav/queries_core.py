@@ -265,7 +265,7 @@ def q_candidates(spark, sf_dir):
 @query("q_knn_descent_recall", "SELECT true AS recall_is_high, count(*) AS n_lists FROM embeddings")
 def q_knn_descent_recall(spark, sf_dir):
     o = objects(spark, sf_dir)
-    got = candidates.knn_descent(o, 10, rounds=4, sample=20)
+    got = candidates.nearest(candidates.knn_descent(o, 24, rounds=4, sample=12), 10)
     hit = got.join(exact.knn_graph(o, 10).select("src", "dst"), ["src", "dst"], "left_semi")
     n = got.select("src").distinct().agg(F.count("*").alias("n_lists"))
     return hit.agg(F.count("*").alias("h")).crossJoin(n).select((F.col("h") >= F.col("n_lists") * 9).alias("recall_is_high"), "n_lists")
