@@ -289,7 +289,7 @@ def beam(shard: Shard, graph: Adjacency, starts: list[int], q: np.ndarray, ef: i
         span = slice(graph.begin[u], graph.begin[u + 1])
         near, has = graph.dst[span], graph.bits[span] & bit > 0
         effort["edges"] += len(near)
-        fresh = near[has & ~seen[near]]
+        fresh = np.unique(near[has & ~seen[near]])
         if hops == 2 and ok is not None:
             through = near[has & ~ok[near]]
             if len(through):

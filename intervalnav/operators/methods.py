@@ -211,6 +211,7 @@ class Layered(PlainGraph):
         if not n:
             return {"src": empty, "dst": empty, "upper_src": empty, "upper_dst": empty, "upper_level": empty, "start": empty}
         level = self.levels(shard)
+        top = int(np.lexsort((shard.ids, -level))[0])
         out: list[list[np.ndarray]] = [[], [], []]
         for lv in range(int(level.max()) + 1):
             of = np.flatnonzero(level >= lv)
@@ -218,11 +219,11 @@ class Layered(PlainGraph):
             pool = kn.grouped(len(of), *kn.descent(part, self.ef_c))
             got = kn.prune(part, np.arange(len(of)), pool, self.m, "none")
             back = kn.prune(part, np.arange(len(of)), _both_ways(len(of), got.src, got.dst), 2 * self.m if lv == 0 else self.m, "none")
-            joined = _connected(part, back.src, back.dst, 0)
+            first = int(np.flatnonzero(of == top)[0])  # all of a layer is reached from the topmost object
+            joined = _connected(part, back.src, back.dst, first)
             for column, x in zip(out, (of[joined[0]], of[joined[1]], np.full(len(joined[0]), lv)), strict=True):
                 column.append(x)
         src, dst, lv = (np.concatenate(c) for c in out)
-        top = int(np.lexsort((shard.ids, -level))[0])
         return {"src": src[lv == 0], "dst": dst[lv == 0], "upper_src": src[lv > 0], "upper_dst": dst[lv > 0], "upper_level": lv[lv > 0], "start": np.array([top])}
 
     def starts(self, shard, data, query):
@@ -232,7 +233,7 @@ class Layered(PlainGraph):
         at = int(data["start"][0])
         for layer in reversed(data["layers"]):
             at = (kn.beam(shard, layer, [at], query.q, 1, 3, None)[0] or [at])[0]
-        return [at]
+        return sorted({at, int(data["start"][0])})
 
 
 def _connected(shard: Shard, src: np.ndarray, dst: np.ndarray, root: int) -> tuple[np.ndarray, np.ndarray]:
