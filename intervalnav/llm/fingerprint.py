@@ -28,9 +28,13 @@ CHARS = 3_000_000  # of text in a partition, about
 def shingles(text: Column, words: int) -> Column:
     """Hashes of the word shingles of a text; none for a text without words."""
     parts = F.split(F.trim(F.lower(text), F.lit(" \t\n\v\f\r")), "[ \\t-\\r]+")
-    hashes = F.transform(parts, lambda w: F.xxhash64(w))
-    rolled = F.transform(F.sequence(F.lit(1), F.greatest(F.size(parts) - (words - 1), F.lit(1))), lambda i: F.xxhash64(F.slice(hashes, i, words)))
-    return F.when(F.trim(text, F.lit(" \t\n\v\f\r")) != "", rolled).otherwise(F.array().cast("array<long>"))
+
+    def rolled(hashes: Column) -> Column:
+        return F.transform(F.sequence(F.lit(1), F.greatest(F.size(hashes) - (words - 1), F.lit(1))), lambda i: F.xxhash64(F.slice(hashes, i, words)))
+
+    # What a lambda uses again and again is bound to a lambda's variable; else it would be computed each time.
+    once = F.element_at(F.transform(F.array(F.transform(parts, lambda w: F.xxhash64(w))), rolled), 1)
+    return F.when(F.trim(text, F.lit(" \t\n\v\f\r")) != "", once).otherwise(F.array().cast("array<long>"))
 
 
 def sample(term: Column, weight: Column, repeat: int, slots: int) -> Column:
