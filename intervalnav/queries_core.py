@@ -17,7 +17,6 @@ from .sources import tables
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
 
-FEW = 120  # objects of the exact graph's oracle
 POOL = (16, 32)  # spatial and attribute budgets of the oracles
 EXACT = IntervalGraph(exact=True)
 PLAIN = IntervalGraph(exact=True, witness="none")
@@ -271,22 +270,22 @@ def q_knn_descent_recall(spark, sf_dir):
     return hit.agg(F.count("*").alias("h")).crossJoin(n).select((F.col("h") >= F.col("n_lists") * 9).alias("recall_is_high"), "n_lists")
 
 
-_FEW = st.below(st.OBJECTS, FEW)
+_ALL = st.OBJECTS
 _POOL = f"SELECT src, dst FROM ({st.spatial_pool(POOL[0])}) UNION {st.attribute_pool(POOL[1])}"
-_FEW_GRAPH = st.graph(_FEW)
+_GRAPH = st.graph(_ALL)
 
 
-@query("q_candidate_coverage", f"{_FEW_GRAPH}, pool AS ({_POOL}) SELECT count(*) AS n_edges, count(pool.src) AS n_held FROM edges LEFT JOIN pool USING (src, dst)")
+@query("q_candidate_coverage", f"{_GRAPH}, pool AS ({_POOL}) SELECT count(*) AS n_edges, count(pool.src) AS n_held FROM edges LEFT JOIN pool USING (src, dst)")
 def q_candidate_coverage(spark, sf_dir):
-    o = objects(spark, sf_dir, below=FEW)
+    o = objects(spark, sf_dir)
     pool = exact.knn_graph(o, POOL[0]).select("src", "dst").union(candidates.attribute_candidates(o, POOL[1]))
-    return measures.coverage(pool, index.edges(built(spark, sf_dir, EXACT, few=FEW)))
+    return measures.coverage(pool, index.edges(built(spark, sf_dir, EXACT)))
 
 
 # ---- graphs -------------------------------------------------------------------------------------------------
 
 def _edges(spark, sf_dir, method, intervals="uniform"):
-    return index.edges(built(spark, sf_dir, method, intervals, FEW)).select("src", "dst", "bits")
+    return index.edges(built(spark, sf_dir, method, intervals)).select("src", "dst", "bits")
 
 
 def _graph(name: str, method: IntervalGraph, sql: str, intervals: str = "uniform"):
@@ -296,24 +295,24 @@ def _graph(name: str, method: IntervalGraph, sql: str, intervals: str = "uniform
 
 
 ONE_PASS = IntervalGraph(spatial=POOL[0], attribute=POOL[1], budget=None, rounds=1, pool="exact")
-_graph("q_exact_graph", EXACT, _FEW_GRAPH)
-_graph("q_exact_graph_keep", IntervalGraph(exact=True, disjoint="keep"), st.graph(_FEW, disjoint="keep"))
-_graph("q_rng", PLAIN, st.graph(_FEW, witness="none"))
-_graph("q_range_graph", EXACT, st.graph(st.below(st.POINTS, FEW)), "point")
-_graph("q_life_graph", EXACT, st.graph(st.below(st.LIVES, FEW)), "life")
-_graph("q_pruned", ONE_PASS, st.graph(_FEW, _POOL))
-_graph("q_pruned_m8", IntervalGraph(spatial=POOL[0], attribute=POOL[1], budget=8, rounds=1, pool="exact"), st.graph(_FEW, _POOL, budget=8))
-_graph("q_bounded_graph_t1", IntervalGraph(spatial=POOL[0], attribute=POOL[1], budget=16, rounds=1, pool="exact"), st.graph(_FEW, _POOL, budget=16))
-_graph("q_attribute_only_graph", IntervalGraph(spatial=0, attribute=POOL[1], budget=None, rounds=1, pool="exact"), st.graph(_FEW, st.attribute_pool(POOL[1])))
-_graph("q_spatial_only_graph", IntervalGraph(spatial=POOL[0], attribute=0, budget=None, rounds=1, pool="exact"), st.graph(_FEW, st.spatial_pool(POOL[0])))
-
-
-@query("q_repairs", f"{st.graph(_FEW, _POOL)} SELECT src, dst FROM repairs")
+_graph("q_exact_graph", EXACT, _GRAPH)
+_graph("q_exact_graph_keep", IntervalGraph(exact=True, disjoint="keep"), st.graph(_ALL, disjoint="keep"))
+_graph("q_rng", PLAIN, st.graph(_ALL, witness="none"))
+_graph("q_range_graph", EXACT, st.graph(st.POINTS), "point")
+_graph("q_life_graph", EXACT, st.graph(st.LIVES), "life")
+_graph("q_pruned", ONE_PASS, st.graph(_ALL, _POOL))
+_graph("q_pruned_m8", IntervalGraph(spatial=POOL[0], attribute=POOL[1], budget=8, rounds=1, pool="exact"), st.graph(_ALL, _POOL, budget=8))
+_graph("q_bounded_graph_t1", IntervalGraph(spatial=POOL[0], attribute=POOL[1], budget=16, rounds=1, pool="exact"), st.graph(_ALL, _POOL, budget=16))
+_graph("q_attribute_only_graph", IntervalGraph(spatial=0, attribute=POOL[1], budget=None, rounds=1, pool="exact"), st.graph(_ALL, st.attribute_pool(POOL[1])))
+_graph("q_spatial_only_graph", IntervalGraph(spatial=POOL[0], attribute=0, budget=None, rounds=1, pool="exact"), st.graph(_ALL, st.spatial_pool(POOL[0])))
+
+
+@query("q_repairs", f"{st.graph(_ALL, _POOL)} SELECT src, dst FROM repairs")
 def q_repairs(spark, sf_dir):
-    return index.repairs(built(spark, sf_dir, ONE_PASS, few=FEW))
+    return index.repairs(built(spark, sf_dir, ONE_PASS))
 
 
-@query("q_graph_projection_sizes", f"{_FEW_GRAPH} SELECT count(*) AS shared_edges, count(*) FILTER (bits & 1 > 0) + count(*) FILTER (bits & 2 > 0) AS separate_edges FROM edges")
+@query("q_graph_projection_sizes", f"{_GRAPH} SELECT count(*) AS shared_edges, count(*) FILTER (bits & 1 > 0) + count(*) FILTER (bits & 2 > 0) AS separate_edges FROM edges")
 def q_graph_projection_sizes(spark, sf_dir):
     b = F.col("bits")
     return _edges(spark, sf_dir, EXACT).agg(F.count("*").alias("shared_edges"), F.sum(b.bitwiseAND(1) + F.shiftright(b, 1)).cast("long").alias("separate_edges"))
@@ -322,23 +321,20 @@ def q_graph_projection_sizes(spark, sf_dir):
 _DEGREES = "SELECT count(*) AS n_edges, count(*) FILTER (bits & 1 > 0) AS n_within, count(*) FILTER (bits & 2 > 0) AS n_covers, count(*) FILTER (bits = 3) AS n_both FROM edges"
 
 
-@query("q_degree_stats", f"{_FEW_GRAPH}, per AS (SELECT src, count(*) AS n, count(*) FILTER (bits & 1 > 0) AS w, count(*) FILTER (bits & 2 > 0) AS c FROM edges GROUP BY src) SELECT * FROM ({_DEGREES}), (SELECT max(n) AS max_degree, max(w) AS max_within, max(c) AS max_covers FROM per)")
+@query("q_degree_stats", f"{_GRAPH}, per AS (SELECT src, count(*) AS n, count(*) FILTER (bits & 1 > 0) AS w, count(*) FILTER (bits & 2 > 0) AS c FROM edges GROUP BY src) SELECT * FROM ({_DEGREES}), (SELECT max(n) AS max_degree, max(w) AS max_within, max(c) AS max_covers FROM per)")
 def q_degree_stats(spark, sf_dir):
     return measures.degrees(_edges(spark, sf_dir, EXACT)).select(*[F.col(c).cast("long").alias(c) for c in ("n_edges", "n_within", "n_covers", "n_both", "max_degree", "max_within", "max_covers")])
 
 
-@query("q_index_size", f"{_FEW_GRAPH} SELECT e * 4 + ceil(e * 2 / 8)::BIGINT AS edge_bytes, {FEW} * 32::BIGINT AS entry_bytes FROM (SELECT count(*) AS e FROM edges)")
+@query("q_index_size", f"{_GRAPH} SELECT e * 4 + ceil(e * 2 / 8)::BIGINT AS edge_bytes, (SELECT count(*) FROM o) * 32 AS entry_bytes FROM (SELECT count(*) AS e FROM edges)")
 def q_index_size(spark, sf_dir):
-    return measures.index_bytes(_edges(spark, sf_dir, EXACT), objects(spark, sf_dir, below=FEW))
+    return measures.index_bytes(_edges(spark, sf_dir, EXACT), objects(spark, sf_dir))
 
 
 @query("q_exact_graph_check", "SELECT 0::BIGINT AS n_violations")
 def q_exact_graph_check(spark, sf_dir):
-    e = index.edges(built(spark, sf_dir, EXACT, few=FEW))
-    return checks.definition_violations(e, objects(spark, sf_dir, below=FEW)).agg(F.count("*").alias("n_violations"))
-
-
-_PLAIN_SIZE = st.graph(_FEW, witness="none").replace("WITH RECURSIVE", "", 1)
+    e = index.edges(built(spark, sf_dir, EXACT))
+    return checks.definition_violations(e, objects(spark, sf_dir)).agg(F.count("*").alias("n_violations"))
 
 
 def _two(first: str, second: str, tail: str) -> str:
@@ -346,13 +342,13 @@ def _two(first: str, second: str, tail: str) -> str:
     return f"SELECT * FROM (WITH a AS (SELECT * FROM ({first} SELECT src, dst, bits FROM edges)), b AS (SELECT * FROM ({second} SELECT src, dst, bits FROM edges)) {tail})"
 
 
-@query("q_size_ratio", _two(_FEW_GRAPH, st.graph(_FEW, witness="none"), "SELECT (SELECT count(*) FROM a) AS n_exact, (SELECT count(*) FROM b) AS n_plain, (SELECT count(*) FROM a) < 6 * (SELECT count(*) FROM b) AS is_bounded"))
+@query("q_size_ratio", _two(_GRAPH, st.graph(_ALL, witness="none"), "SELECT (SELECT count(*) FROM a) AS n_exact, (SELECT count(*) FROM b) AS n_plain, (SELECT count(*) FROM a) < 6 * (SELECT count(*) FROM b) AS is_bounded"))
 def q_size_ratio(spark, sf_dir):
     a, b = _edges(spark, sf_dir, EXACT).agg(F.count("*").alias("n_exact")), _edges(spark, sf_dir, PLAIN).agg(F.count("*").alias("n_plain"))
     return a.crossJoin(b).withColumn("is_bounded", F.col("n_exact") < 6 * F.col("n_plain"))
 
 
-@query("q_rng_vs_exact", _two(_FEW_GRAPH, st.graph(_FEW, witness="none"), "SELECT (SELECT count(*) FROM (SELECT src, dst FROM a EXCEPT SELECT src, dst FROM b)) AS only_exact, (SELECT count(*) FROM (SELECT src, dst FROM b EXCEPT SELECT src, dst FROM a)) AS only_plain"))
+@query("q_rng_vs_exact", _two(_GRAPH, st.graph(_ALL, witness="none"), "SELECT (SELECT count(*) FROM (SELECT src, dst FROM a EXCEPT SELECT src, dst FROM b)) AS only_exact, (SELECT count(*) FROM (SELECT src, dst FROM b EXCEPT SELECT src, dst FROM a)) AS only_plain"))
 def q_rng_vs_exact(spark, sf_dir):
     a, b = (_edges(spark, sf_dir, m).select("src", "dst") for m in (EXACT, PLAIN))
     return a.exceptAll(b).agg(F.count("*").alias("only_exact")).crossJoin(b.exceptAll(a).agg(F.count("*").alias("only_plain")))
@@ -362,8 +358,8 @@ def q_rng_vs_exact(spark, sf_dir):
 
 def _heredity_sql(bit: int, cond: str, witness: str = "interval", pool: bool = False) -> str:
     """Own graph of the filtered objects, and the induced one, as in ``checks.heredity``."""
-    some = f"SELECT * FROM ({_FEW}) WHERE {cond}"
-    own, whole = st.graph(some, witness=witness), st.graph(_FEW, witness=witness)
+    some = f"SELECT * FROM ({_ALL}) WHERE {cond}"
+    own, whole = st.graph(some, witness=witness), st.graph(_ALL, witness=witness)
     ids = f"(SELECT id FROM ({some}))"
     tail = f""", ow AS (SELECT src, dst FROM a WHERE bits & {bit} > 0), cut AS (SELECT src, dst FROM b WHERE bits & {bit} > 0 AND src IN {ids} AND dst IN {ids})
       SELECT (SELECT count(*) FROM ow) AS n_own, (SELECT count(*) FROM (SELECT * FROM ow EXCEPT SELECT * FROM cut)) AS only_own, (SELECT count(*) FROM (SELECT * FROM cut EXCEPT SELECT * FROM ow)) AS only_induced"""
@@ -372,17 +368,17 @@ def _heredity_sql(bit: int, cond: str, witness: str = "interval", pool: bool = F
 
 @query("q_heredity_within", _heredity_sql(1, "lo >= 1000 AND hi <= 8500"))
 def q_heredity_within(spark, sf_dir):
-    return checks.heredity(objects(spark, sf_dir, below=FEW), "within", 1000, 8500, EXACT)
+    return checks.heredity(objects(spark, sf_dir), "within", 1000, 8500, EXACT)
 
 
 @query("q_heredity_covers", _heredity_sql(2, "lo <= 4500 AND hi >= 5500"))
 def q_heredity_covers(spark, sf_dir):
-    return checks.heredity(objects(spark, sf_dir, below=FEW), "covers", 4500, 5500, EXACT)
+    return checks.heredity(objects(spark, sf_dir), "covers", 4500, 5500, EXACT)
 
 
 @query("q_rng_heredity_gap", _heredity_sql(1, "lo >= 1000 AND hi <= 8500", "none"))
 def q_rng_heredity_gap(spark, sf_dir):
-    return checks.heredity(objects(spark, sf_dir, below=FEW), "within", 1000, 8500, PLAIN)
+    return checks.heredity(objects(spark, sf_dir), "within", 1000, 8500, PLAIN)
 
 
 @query("q_bounded_heredity", "SELECT 0::BIGINT AS only_own, 0::BIGINT AS only_induced")
@@ -390,7 +386,7 @@ def q_bounded_heredity(spark, sf_dir):
     """One pass without a budget over a fixed candidate graph: pruned after filtering, or filtered after pruning."""
     from .operators.pools import prune_pools
 
-    o = objects(spark, sf_dir, below=FEW)
+    o = objects(spark, sf_dir)
     pool = exact.knn_graph(o, POOL[0]).select("src", "dst").union(candidates.attribute_candidates(o, POOL[1])).distinct()
     some = checks.filtered(o, "within", 1000, 8500)
     own = checks.induced(prune_pools(some, checks.induced(pool.withColumn("bits", F.lit(1)), some, 1), None), some, 1)

@@ -7,7 +7,6 @@ from pyspark.sql import functions as F
 
 from . import sqltext as st
 from .functions import interval
-from .functions.distance import l2sq
 from .operators import exact, relational
 from .plans.store import shared_folder
 from .queries_core import objects
@@ -120,24 +119,24 @@ for _kind, _neg in (("semi", ""), ("anti", "NOT ")):
         return objects(spark, sf_dir).join(e, F.col("id") == F.col("user_id"), f"left_{kind}").select("id")
 
 
-@query("q_join_range_overlap", f"SELECT a.id AS left_id, b.id AS right_id FROM {OBJ} a JOIN {OBJ} b ON a.lo <= b.hi AND b.lo <= a.hi WHERE a.id < 100 AND b.id < 100")
+@query("q_join_range_overlap", f"SELECT a.id AS left_id, b.id AS right_id FROM {OBJ} a JOIN {OBJ} b ON a.lo <= b.hi AND b.lo <= a.hi")
 def q_join_range_overlap(spark, sf_dir):
-    o = objects(spark, sf_dir, below=100)
+    o = objects(spark, sf_dir)
     return relational.overlap_join(o, o, 1000)
 
 
-@query("q_join_asof", "SELECT a.o_orderkey AS id, a.o_custkey, arg_max(b.o_totalprice, b.o_orderdate) AS o_totalprice FROM (SELECT * FROM orders WHERE o_custkey < 200) a LEFT JOIN (SELECT o_custkey, o_orderdate, max(o_totalprice) AS o_totalprice FROM orders GROUP BY ALL) b ON b.o_custkey = a.o_custkey AND b.o_orderdate < a.o_orderdate GROUP BY ALL")
+@query("q_join_asof", "SELECT a.o_orderkey AS id, a.o_custkey, arg_max(b.o_totalprice, b.o_orderdate) AS o_totalprice FROM orders a LEFT JOIN (SELECT o_custkey, o_orderdate, max(o_totalprice) AS o_totalprice FROM orders GROUP BY ALL) b ON b.o_custkey = a.o_custkey AND b.o_orderdate < a.o_orderdate GROUP BY ALL")
 def q_join_asof(spark, sf_dir):
-    o = table(spark, sf_dir, "orders").where("o_custkey < 200")
+    o = table(spark, sf_dir, "orders")
     one = o.groupBy("o_custkey", "o_orderdate").agg(F.max("o_totalprice").alias("o_totalprice"))
     return relational.asof_join(o.withColumn("id", F.col("o_orderkey")), one, "o_custkey", "o_orderdate", "o_totalprice").select("id", "o_custkey", "o_totalprice")
 
 
-_FIVE = f"WITH o AS ({st.below(st.OBJECTS, 100)}), g AS (SELECT src, dst FROM ({st.spatial_pool(5)}))"
+_FIVE = f"WITH o AS ({st.OBJECTS}), g AS (SELECT src, dst FROM ({st.spatial_pool(5)}))"
 
 
 def _five(spark, sf_dir) -> DataFrame:
-    return exact.knn_graph(objects(spark, sf_dir, below=100), 5).select("src", "dst")
+    return exact.knn_graph(objects(spark, sf_dir), 5).select("src", "dst")
 
 
 @query("q_two_hop", f"{_FIVE} SELECT DISTINCT a.src, b.dst FROM g a JOIN g b ON b.src = a.dst WHERE a.src != b.dst")
@@ -146,7 +145,7 @@ def q_two_hop(spark, sf_dir):
     return g.join(g.select(F.col("src").alias("dst"), F.col("dst").alias("far")), "dst").where("src != far").select("src", F.col("far").alias("dst")).distinct()
 
 
-@query("q_recursive_reach", f"""WITH RECURSIVE o AS ({st.below(st.OBJECTS, 100)}), g AS (SELECT src, dst FROM ({st.spatial_pool(5)})), r(id, hop) AS (SELECT 0::BIGINT, 0 UNION SELECT dst, hop + 1 FROM r JOIN g ON src = id WHERE hop < 4)
+@query("q_recursive_reach", f"""WITH RECURSIVE o AS ({st.OBJECTS}), g AS (SELECT src, dst FROM ({st.spatial_pool(5)})), r(id, hop) AS (SELECT 0::BIGINT, 0 UNION SELECT dst, hop + 1 FROM r JOIN g ON src = id WHERE hop < 4)
   SELECT id, min(hop)::INTEGER AS hop FROM r GROUP BY id""")
 def q_recursive_reach(spark, sf_dir):
     return relational.within_hops(_five(spark, sf_dir), spark.range(1), 4)
@@ -236,19 +235,6 @@ for _kind, _op in (("union", "UNION"), ("intersect", "INTERSECT"), ("except", "E
         return {"union": lambda: a.union(b).distinct(), "intersect": lambda: a.intersect(b), "except": lambda: a.subtract(b)}[kind]()
 
 
-@query("q_exists_witness", f"""WITH o AS ({st.below(st.OBJECTS, 60)}), d AS (SELECT a.id AS a, b.id AS b, {st.sq('a.vec', 'b.vec')} AS d FROM o a, o b WHERE a.id != b.id)
-  SELECT p.a AS src, p.b AS dst FROM d p JOIN o u ON u.id = p.a JOIN o v ON v.id = p.b WHERE EXISTS (SELECT 1 FROM d x JOIN d y ON y.a = x.b AND y.b = p.b JOIN o w ON w.id = x.b WHERE x.a = p.a AND x.d < p.d AND y.d < p.d AND w.lo >= least(u.lo, v.lo) AND w.hi <= greatest(u.hi, v.hi))""")
-def q_exists_witness(spark, sf_dir):
-    o = objects(spark, sf_dir, below=60)
-    u, v = o.toDF(*(f"u_{c}" for c in o.columns)), o.toDF(*(f"v_{c}" for c in o.columns))
-    d = u.join(v, F.col("u_id") != F.col("v_id")).select("u_id", "v_id", "u_lo", "u_hi", "v_lo", "v_hi", l2sq(F.col("u_vec"), F.col("v_vec")).alias("d"))
-    x = d.select(F.col("u_id").alias("xa"), F.col("v_id").alias("w"), F.col("v_lo").alias("w_lo"), F.col("v_hi").alias("w_hi"), F.col("d").alias("xd"))
-    y = d.select(F.col("u_id").alias("ya"), F.col("v_id").alias("yb"), F.col("d").alias("yd"))
-    w = x.join(y, F.col("ya") == F.col("w"))
-    ends = [F.col(c) for c in ("u_lo", "u_hi", "v_lo", "v_hi", "w_lo", "w_hi")]
-    return d.join(w, (F.col("xa") == F.col("u_id")) & (F.col("yb") == F.col("v_id")) & (F.col("xd") < F.col("d")) & (F.col("yd") < F.col("d")) & interval.witness_within(*ends), "left_semi").select(F.col("u_id").alias("src"), F.col("v_id").alias("dst"))
-
-
 @query("q_hash_sample", f"SELECT id FROM {OBJ} WHERE (id * 2654435761) % 100 < 20")
 def q_hash_sample(spark, sf_dir):
     return objects(spark, sf_dir).where(F.pmod(F.col("id") * 2654435761, F.lit(100)) < 20).select("id")

@@ -67,7 +67,7 @@ def graph(objects: str, pool: str | None = None, witness: str = "interval", disj
       p AS MATERIALIZED (SELECT a.id AS src, b.id AS dst, dist.d2, b.lo, b.hi, m.dv, greatest(a.lo, b.lo) AS mlo, least(a.hi, b.hi) AS mhi, least(a.lo, b.lo) AS hlo, greatest(a.hi, b.hi) AS hhi,
           greatest(a.lo, b.lo) > least(a.hi, b.hi) AS apart, row_number() OVER (PARTITION BY a.id ORDER BY dist.d2, b.id) AS rn
         FROM dist JOIN o a ON a.id = dist.a JOIN o b ON b.id = dist.b AND a.id != b.id {join} JOIN matrix m ON m.v = b.id),
-      step AS (
+      step(src, k, kept, lost) USING KEY (src) AS (
         SELECT id AS src, 0 AS k, []::STRUCT(id BIGINT, d DOUBLE, lo DOUBLE, hi DOUBLE, bits INTEGER)[] AS kept, []::STRUCT(w BIGINT, v BIGINT)[] AS lost FROM o
         UNION ALL
         SELECT src, k, CASE WHEN b > 0 THEN list_append(kept, {{'id': dst, 'd': d2, 'lo': lo, 'hi': hi, 'bits': b}}) ELSE kept END,
@@ -76,7 +76,7 @@ def graph(objects: str, pool: str | None = None, witness: str = "interval", disj
           SELECT y.*, (start & (CASE WHEN w1 IS NULL THEN 3 ELSE 2 END) & (CASE WHEN w2 IS NULL THEN 3 ELSE 1 END)) AS bits FROM (
             SELECT s.src, s.k + 1 AS k, s.kept, s.lost, p.dst, p.d2, p.lo, p.hi, {start} AS start, {hits[1]}[1].id AS w1, {hits[2]}[1].id AS w2
             FROM step s JOIN p ON p.src = s.src AND p.rn = s.k + 1) y) x)),
-      last AS (SELECT src, arg_max(kept, k) AS kept, arg_max(lost, k) AS lost FROM step GROUP BY src),
+      last AS (SELECT src, kept, lost FROM step),
       edges AS (SELECT src, e.id AS dst, e.bits AS bits FROM (SELECT src, unnest(kept) AS e FROM last)),
       repairs AS (SELECT DISTINCT r.w AS src, r.v AS dst FROM (SELECT unnest(lost) AS r FROM last))
     """
