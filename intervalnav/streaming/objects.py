@@ -27,7 +27,8 @@ def counts(events: DataFrame, width: str, slide: str | None = None, by: Column |
 def stream(spark: SparkSession, path: str, like: DataFrame, late: str = "1 hour", time: str | None = "ts", files: int = 1) -> DataFrame:
     """A stream over Parquet files as they come, with a watermark on the time column."""
     df = spark.readStream.schema(like.schema).option("maxFilesPerTrigger", files).parquet(path)
-    return df.withWatermark(time, late) if time else df
+    # Watermarks need a timestamp with a zone; a local one is read in the session's.
+    return df.withColumn(time, F.col(time).cast("timestamp")).withWatermark(time, late) if time else df
 
 
 def once(stream_: DataFrame, key: str) -> DataFrame:
