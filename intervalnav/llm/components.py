@@ -22,6 +22,7 @@ def _star(edges: DataFrame, pairs: DataFrame) -> DataFrame:
 def connected(edges: DataFrame, rounds: int = 60) -> DataFrame:
     """(u, root) for every node of the edges (u, v): root is the least node of its component; roots have no row."""
     now = checkpointed(edges.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).where("u != v").distinct())
+    mark = _mark(now)
     for _ in range(rounds):
         both = now.union(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
         large = _star(both, both.where("v > u")).where("u != v").distinct()  # larger neighbours to the least one
@@ -29,9 +30,8 @@ def connected(edges: DataFrame, rounds: int = 60) -> DataFrame:
         least = down.groupBy("u").agg(F.min("v").alias("m"))
         small = down.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).union(least.select("u", F.col("m").alias("v")))
         after = checkpointed(small.where("u != v").distinct())
-        same = _mark(after) == _mark(now)
-        now = after
-        if same:
+        before, mark, now = mark, _mark(after), after
+        if mark == before:
             break
     else:
         raise RuntimeError("components did not settle")
