@@ -18,6 +18,9 @@ from intervalnav.llm.queries_packing import packed
 #: Share of a text's n-grams that its language must know; clean prose is over 0.6.
 KNOWN = 0.05
 
+#: Near copies share this percentage of their shingles of so many words; op4's query has its own contract.
+NEAR_WORDS, NEAR_PERCENT = 5, 80
+
 _left: list[str] = []
 
 
@@ -52,7 +55,7 @@ def without_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 @_stage
 def without_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document with the least id of every group of near copies."""
-    later = jaccard.components(docs.select("doc_id", "text")).where("doc_id != component_id").select("doc_id").distinct()
+    later = jaccard.components(docs.select("doc_id", "text"), n=NEAR_WORDS, percent=NEAR_PERCENT).where("doc_id != component_id").select("doc_id").distinct()
     return docs.join(later, "doc_id", "left_anti").select(*docs.columns)
 
 

@@ -33,6 +33,8 @@ from .common import checkpointed, written
 from .components import connected
 
 STEP = 64
+SEGMENTED = 90  # least percentage that finds its candidates by segments
+SAMPLED, COMMON = 2_000_000, 200_000  # n-grams that are counted for the order of rarity, and those it keeps
 RATIO = 0.7  # between the sizes of two classes
 MINOR, MAJOR = 64, 192  # sets in a block of the last comparison
 _SALT = np.uint64(0x5851F42D4C957F2D)
@@ -130,6 +132,20 @@ def signatures(code: np.ndarray, offs: np.ndarray, classes: Classes) -> tuple[np
     return np.concatenate(sigs), np.concatenate(owners)
 
 
+def rarest(code: np.ndarray, offs: np.ndarray, percent: int, common: tuple[np.ndarray, np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """The n-grams of every row of which a linked set shares one, and the row of each; ``common``: hashes (ascending), counts."""
+    size = np.diff(offs)
+    owner = np.repeat(np.arange(len(size)), size)
+    count = np.zeros(len(code), np.int64)
+    if len(common[0]) and len(code):
+        spot = np.minimum(np.searchsorted(common[0], code), len(common[0]) - 1)
+        count = np.where(common[0][spot] == code, common[1][spot], 0)
+    order = np.lexsort((code, count, owner))
+    many = np.where(size > 0, size + (-size * percent // 100) + 1, 0)
+    first = np.arange(len(code)) - np.repeat(offs[:-1], size) < np.repeat(many, size)
+    return code[order][first], owner[first]
+
+
 class Trie:
     """Sorted sets in a prefix tree whose edges hold up to STEP members; sets can be taken out."""
 
@@ -255,6 +271,59 @@ def _pairs(found: list[tuple[int, int]]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], names=["u", "v"])
 
 
+def _common(sets: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes (ascending) and counts of the n-grams that most of these (s, members) hold, if more than one does."""
+
+    def spread(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            h = np.frombuffer(b"".join(batch.column("members").to_pylist()), np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(h)], names=["h"])
+
+    top = sets.select("members").mapInArrow(spread, "h long").groupBy("h").agg(F.count("*").alias("c")).where("c > 1").orderBy(F.desc("c"), "h").limit(COMMON).toArrow()
+    h, c = top.column("h").to_numpy().view(np.uint64), top.column("c").to_numpy()
+    order = np.argsort(h)
+    return h[order], c[order]
+
+
+def _in_clusters(clusters: DataFrame, label: DataFrame, stored: DataFrame, percent: int) -> DataFrame:
+    """Links in clusters of several components, from all sets outside the largest one to all others."""
+    labels = checkpointed(clusters.join(label.select(F.col("u").alias("s"), F.col("root").alias("label")), "s", "left").withColumn("label", F.coalesce("label", "s")))
+
+    # Last comparison: in clusters of several components, all sets outside the largest one with all others.
+    parts = labels.groupBy("root", "label").agg(F.count("*").alias("k"))
+    most = parts.groupBy("root").agg(F.max_by("label", F.struct("k", -F.col("label"))).alias("major"), F.count("*").alias("parts"), F.sum("k").alias("all"), F.max("k").alias("most")).where("parts > 1")
+    open_ = labels.join(most, "root").withColumn("minors", F.ceil((F.col("all") - F.col("most")) / MINOR)).withColumn("majors", F.ceil(F.col("most") / MAJOR))
+    h = F.pmod(F.xxhash64("s", F.lit(7)), F.lit(1 << 30))
+    to_all = lambda count: F.sequence(F.lit(0).cast("long"), count - 1)
+    minor = open_.where("label != major").withColumn("a", h % F.col("minors"))
+    major = open_.where("label = major").withColumn("b", h % F.col("majors"))
+    tasks = (
+        minor.select("root", "s", "a", F.explode(to_all(F.col("majors"))).alias("b"))
+        .union(major.select("root", "s", F.explode(to_all(F.col("minors"))).alias("a"), "b"))
+        .union(minor.where("minors > 1").select("root", "s", F.explode(F.transform(F.filter(to_all(F.col("minors")), lambda o: o != F.col("a")), lambda o: F.struct(F.least("a", o).alias("a"), (-1 - F.greatest("a", o)).alias("b")))).alias("k"), ).select("root", "s", "k.a", "k.b"))
+    )
+    return _compare(tasks.join(stored, "s"), ["root", "a", "b"], percent)
+
+
+def _in_keys(held: DataFrame, label: DataFrame, sizes: DataFrame, stored: DataFrame, percent: int) -> DataFrame:
+    """Links between sets of different components that share a key (sig, s), in blocks of one set with some others."""
+    known = sizes.join(label.select(F.col("u").alias("s"), "root"), "s", "left").withColumn("root", F.coalesce("root", "s"))
+    placed = held.select("sig", "s").join(known, "s")
+    parts = placed.groupBy("sig", "root").agg(F.count("*").alias("k"))
+    major = parts.groupBy("sig").agg(F.max_by("root", F.struct("k", "root")).alias("major"), F.count("*").alias("parts")).where("parts > 1").select("sig", "major")
+    open_ = written(placed.join(major, "sig"), "sets-open")
+    left = open_.where("root != major").select("sig", F.col("s").alias("u"), F.col("n").alias("n1"), F.col("root").alias("r1"))
+    right = open_.select("sig", F.col("s").alias("v"), F.col("n").alias("n2"), F.col("root").alias("r2"), (F.col("root") == F.col("major")).alias("outer"))
+    # Of two sets outside the key's largest component, the lesser one leads.
+    pairs = left.join(right, "sig").where((F.col("r1") != F.col("r2")) & (F.col("outer") | (F.col("u") < F.col("v"))))
+    pairs = pairs.where(100 * F.least("n1", "n2") >= percent * F.greatest("n1", "n2")).select("u", "v").distinct()
+    pairs = written(pairs, "sets-pairs")
+    blocks = pairs.groupBy("u").agg(F.ceil(F.count("*") / MAJOR).alias("blocks"))
+    dealt = pairs.join(blocks, "u").select("u", F.pmod(F.xxhash64("v", F.lit(7)), F.col("blocks")).alias("b"), F.col("v").alias("s"))
+    dealt = dealt.union(dealt.select("u", "b", F.col("u").alias("s")).distinct())
+    return _compare(dealt.join(stored, "s"), ["u", "b"], percent)
+
+
 def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3, percent: int = 90) -> DataFrame:
     """doc_id, n_shingles and component_id of every row: the least id reachable by links of at least ``percent``."""
     source = docs.select(F.col(key).cast("long").alias("doc_id"), F.col(text).alias("t"))
@@ -266,22 +335,42 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
                 code, offs = sets_of(part.column("t"), n)
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(np.diff(offs)), pa.array(set_ids(code, offs))], names=["doc_id", "n", "s"])
 
+    def members(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in at.blocks(batch, "t"):
+                code, offs = sets_of(part.column("t"), n)
+                raw = code.tobytes()
+                cut = [raw[8 * a : 8 * b] for a, b in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)]
+                yield pa.RecordBatch.from_arrays([pa.array(set_ids(code, offs)), pa.array(cut, pa.binary())], names=["s", "members"])
+
+    meta = written(source.mapInArrow(describe, "doc_id long, n long, s long"), "sets-meta")
+    segmented = percent >= SEGMENTED
+    common = None
+    if not segmented:
+        total = meta.agg(F.sum("n")).first()[0] or 0
+        picked = meta.where(F.pmod(F.xxhash64("s"), F.lit(1 << 24)) < F.lit(int(min(1.0, SAMPLED / max(total, 1)) * (1 << 24)))).where("n > 0")
+        picked = picked.groupBy("s").agg(F.min("doc_id").alias("doc_id")).select("doc_id")  # equal sets count once
+        sets = source.join(F.broadcast(picked), "doc_id", "left_semi").select("t").mapInArrow(members, "s long, members binary").dropDuplicates(["s"])
+        common = source.sparkSession.sparkContext.broadcast(_common(sets))
+
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in at.blocks(batch, "t"):
                 code, offs = sets_of(part.column("t"), n)
                 ids = set_ids(code, offs)
-                sigs, owner = signatures(code, offs, classes)
+                sigs, owner = signatures(code, offs, classes) if common is None else rarest(code, offs, percent, common.value)
                 _, once = np.unique(ids, return_index=True)  # equal sets of this block sign once
                 first = np.zeros(len(ids), bool)
                 first[once] = True
                 keep = first[owner]
                 yield pa.RecordBatch.from_arrays([pa.array(sigs[keep].view(np.int64)), pa.array(ids[owner[keep]])], names=["sig", "s"])
 
-    meta = written(source.mapInArrow(describe, "doc_id long, n long, s long"), "sets-meta")
     signed = source.mapInArrow(sign, "sig long, s long")
     shared = signed.groupBy("sig").agg(F.min("s").alias("p"), F.max("s").alias("q")).where("p != q").select("sig", "p")
-    votes = signed.join(shared, "sig").where("s != p").groupBy("p", "s").agg(F.count("*").alias("c"))
+    held = signed.join(shared, "sig")
+    if not segmented:
+        held = written(held.distinct(), "sets-held")
+    votes = held.where("s != p").groupBy("p", "s").agg(F.count("*").alias("c"))
     votes = written(votes, "sets-votes")
     cluster = connected(votes.select(F.col("p").alias("u"), F.col("s").alias("v")))
     clusters = written(cluster.select(F.col("u").alias("s"), "root").union(cluster.select(F.col("root").alias("s"), "root").distinct()), "sets-clusters")
@@ -290,14 +379,6 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
     firsts = meta.where("n > 0").groupBy("s").agg(F.min("doc_id").alias("doc_id"))
     wanted = firsts.join(clusters, "s", "left_semi")
 
-    def members(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for part in at.blocks(batch, "t"):
-                code, offs = sets_of(part.column("t"), n)
-                raw = code.tobytes()
-                cut = [raw[8 * a : 8 * b] for a, b in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)]
-                yield pa.RecordBatch.from_arrays([pa.array(set_ids(code, offs)), pa.array(cut, pa.binary())], names=["s", "members"])
-
     texts = source.join(wanted.select("doc_id"), "doc_id", "left_semi").select("t")
     stored = written(texts.mapInArrow(members, "s long, members binary").dropDuplicates(["s"]), "sets-members")
 
@@ -310,22 +391,11 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
     dealt = dealt.union(dealt.select("p", "b", F.col("p").alias("s")).distinct())
     links = written(_compare(dealt.join(stored, "s"), ["p", "b"], percent), "sets-links")
     label = connected(links)
-    labels = checkpointed(clusters.join(label.select(F.col("u").alias("s"), F.col("root").alias("label")), "s", "left").withColumn("label", F.coalesce("label", "s")))
-
-    # Last comparison: in clusters of several components, all sets outside the largest one with all others.
-    parts = labels.groupBy("root", "label").agg(F.count("*").alias("k"))
-    most = parts.groupBy("root").agg(F.max_by("label", F.struct("k", -F.col("label"))).alias("major"), F.count("*").alias("parts"), F.sum("k").alias("all"), F.max("k").alias("most")).where("parts > 1")
-    open_ = labels.join(most, "root").withColumn("minors", F.ceil((F.col("all") - F.col("most")) / MINOR)).withColumn("majors", F.ceil(F.col("most") / MAJOR))
-    h = F.pmod(F.xxhash64("s", F.lit(7)), F.lit(1 << 30))
-    to_all = lambda count: F.sequence(F.lit(0).cast("long"), count - 1)
-    minor = open_.where("label != major").withColumn("a", h % F.col("minors"))
-    major = open_.where("label = major").withColumn("b", h % F.col("majors"))
-    tasks = (
-        minor.select("root", "s", "a", F.explode(to_all(F.col("majors"))).alias("b"))
-        .union(major.select("root", "s", F.explode(to_all(F.col("minors"))).alias("a"), "b"))
-        .union(minor.where("minors > 1").select("root", "s", F.explode(F.transform(F.filter(to_all(F.col("minors")), lambda o: o != F.col("a")), lambda o: F.struct(F.least("a", o).alias("a"), (-1 - F.greatest("a", o)).alias("b")))).alias("k"), ).select("root", "s", "k.a", "k.b"))
-    )
-    more = _compare(tasks.join(stored, "s"), ["root", "a", "b"], percent)
+    if segmented:
+        more = _in_clusters(clusters, label, stored, percent)
+    else:
+        sizes = meta.where("n > 0").groupBy("s").agg(F.first("n").alias("n")).join(wanted.select("s"), "s")
+        more = _in_keys(held, label, sizes, stored, percent)
     final = connected(written(links.union(more), "sets-all-links"))
 
     by_set = firsts.withColumnRenamed("doc_id", "first").join(final.withColumnRenamed("u", "s"), "s", "left").withColumn("root", F.coalesce("root", "s"))

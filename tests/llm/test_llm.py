@@ -255,6 +255,16 @@ def test_jaccard(spark, docs, empty, small_blocks, monkeypatch):
         assert jaccard.components(twice).count() == 2 * len(ROWS)
 
 
+@pytest.mark.parametrize("sampled", [2_000_000, 300])
+def test_jaccard_below_the_segments_percentage(spark, sampled, monkeypatch):
+    monkeypatch.setattr(jaccard, "SAMPLED", sampled)
+    rng, rows = random.Random(3), [(i, t) for i, t, *_ in ROWS] + [(5000 + i, t) for i, t in edited_rows(8)]
+    base = [f"w{i}" for i in range(2000)]
+    rows += [(9000 + k, " ".join(w if rng.random() > rate else f"v{rng.randrange(10**6)}" for w in base)) for k, rate in enumerate([0, 0.01, 0.015, 0.02, 0.03])]
+    got = by_id(jaccard.components(spark.createDataFrame(rows, "doc_id long, text string").repartition(6), n=5, percent=80))
+    assert {i: (r["n_shingles"], r["component_id"]) for i, r in got.items()} == brute_components(rows, 5, 80)
+
+
 def test_trie_finds_all_links():
     rng = random.Random(5)
     sets = []
@@ -576,3 +586,16 @@ def test_pipeline_stages(spark, tmp_path):
     assert {r["doc_id"] for r in out[2].collect()} == {i for i in second if want[i][1] == i}
     assert {r["doc_id"] for r in out[3].select("doc_id").distinct().collect()} == {r["doc_id"] for r in out[2].collect()}
     assert cp.run(spark, str(tmp_path)).count() == out[3].count()
+
+
+def test_pipeline_near_copies_are_alike_in_five_words(spark):
+    import corpus_pipeline as cp
+
+    rows = []
+    for g, (size, changes) in enumerate([(53, [20]), (53, [3]), (110, [20, 80]), (45, [20]), (30, []), (60, [20, 40])]):
+        base = [f"w{g}x{i}" for i in range(size)]
+        rows += [(len(rows), " ".join(base), "xx", "s", 0), (len(rows) + 1, " ".join("new" if i in changes else w for i, w in enumerate(base)), "xx", "s", 0)]
+    docs = spark.createDataFrame(rows, SCHEMA.rsplit(", score", 1)[0])
+    want, strict = brute_components(rows, 5, 80), brute_components(rows)
+    assert {i for i in want if want[i][1] != i} == {1, 3, 5, 9} and {i for i in strict if strict[i][1] != i} == {9}
+    assert {r["doc_id"] for r in cp.without_near_copies(spark, docs, "").collect()} == {i for i in want if want[i][1] == i}
