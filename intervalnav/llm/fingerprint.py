@@ -1,10 +1,11 @@
 """Document fingerprints by consistent weighted sampling, with DataFrame functions only.
 
-A text is the bag of its word shingles. For every shingle and repeat, hashes give two gamma variates and a
-uniform one, and from the shingle's weight (its count) follows a sample that depends on the shingle and
-the weight's level alone; the least sample wins. The chance that two bags have the same winner is their
-generalised Jaccard similarity: the sum of the lesser weights over the sum of the greater ones. A repeat may
-be divided into slots by shingle hash, each with its own winner: one sample per shingle then serves all slots.
+A text is the bag of its word shingles. A shingle of weight w (its count) stands for w units, numbered from 1,
+which are samples' terms of weight 1. For every unit and repeat, hashes give two gamma variates and a
+uniform one, and from them follows a sample; the least sample wins. The chance that two bags have the same
+winner is their generalised Jaccard similarity: the sum of the lesser weights (the units in both) over the sum
+of the greater ones (those in either). A repeat may be divided into slots by the units' hashes, each with its own
+winner: one sample per unit then serves all slots, and a heavy shingle has its share in every slot.
 A fingerprint is four hex digits for each repeat and slot, ``0000`` where a slot has no shingle.
 
 Defined cases: null texts count as empty; a text without words has an empty bag, whose fingerprint is all
@@ -59,7 +60,9 @@ def fingerprints(texts: DataFrame, keys: list[str], text: str = "text", words: i
     """keys and fingerprint of every row; rows whose keys are equal are one bag."""
     terms = texts.select(*keys, F.explode_outer(shingles(F.col(text), words)).alias("term"))
     bags = terms.groupBy(*keys, "term").agg(F.count("*").alias("w"))
-    drawn = bags.select(*keys, F.explode(F.array(*[F.when(F.col("term").isNotNull(), sample(F.col("term"), F.col("w"), r, slots)) for r in range(repeats)])).alias("s"))
+    units = bags.select(*keys, "term", F.explode(F.sequence(F.lit(1), F.col("w").cast("int"))).alias("i"))
+    units = units.select(*keys, F.when(F.col("term").isNotNull(), F.xxhash64("term", "i")).alias("term"))
+    drawn = units.select(*keys, F.explode(F.array(*[F.when(F.col("term").isNotNull(), sample(F.col("term"), F.lit(1), r, slots)) for r in range(repeats)])).alias("s"))
     least = drawn.select(*keys, "s.slot", "s.v").groupBy(*keys, "slot").agg(F.min("v").alias("v"))
     digits = least.withColumn("d", (F.col("v").bitwiseAND(F.lit((1 << 32) - 1)) % 65535 + 1).cast("int"))
     wide = digits.groupBy(*keys).agg(*[F.max(F.when(F.col("slot") == j, F.col("d"))).alias(f"d{j}") for j in range(repeats * slots)])

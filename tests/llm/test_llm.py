@@ -477,6 +477,17 @@ def test_samples_collide_as_often_as_bags_are_alike(spark):
     assert got[0] == got[2] and same == pytest.approx(sum((x & y).values()) / sum((x | y).values()), abs=0.09)
 
 
+def test_heavy_shingles_count_in_every_slot(spark):
+    pairs = [(["x"] * 1000, 10), (["x"] * 300 + ["y"] * 200, 100), (["x"] * 40, 120)]
+    rows = [(2 * i + j, " ".join(shared + [f"{own}{k}" for k in range(many)])) for i, (shared, many) in enumerate(pairs) for j, own in enumerate("ab")]
+    made = fingerprint.fingerprints(spark.createDataFrame(rows, "k long, text string"), ["k"], words=1)
+    a, b = made.where("k % 2 = 0").withColumn("k", F.col("k") + 1).withColumnRenamed("fingerprint", "f"), made
+    got = {r["k"]: r["like"] for r in a.join(b, "k").select("k", fingerprint.likeness(F.col("f"), F.col("fingerprint")).alias("like")).collect()}
+    for i in range(len(pairs)):
+        x, y = bag(rows[2 * i][1], 1), bag(rows[2 * i + 1][1], 1)
+        assert got[2 * i + 1] == pytest.approx(sum((x & y).values()) / sum((x | y).values()), abs=0.17)
+
+
 def test_fingerprint_query(docs, empty):
     got = by_id(fingerprint.near(docs))
     order, texts = sorted(got), {i: t or "" for i, t, *_ in ROWS}
