@@ -7,6 +7,7 @@ import uuid
 from collections.abc import Iterator
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -53,6 +54,20 @@ def tables_made() -> Iterator[list[str]]:
     paths += _written[before:]
 
 
+def spread_join(left: DataFrame, right: DataFrame, key: str, count: str, total: int) -> DataFrame:
+    """``left`` with the columns of ``right`` (one row a key; ``count``: the rows that left has of it, of ``total``).
+
+    A key with more than a task's usual part of the rows is cut into as many parts as it holds of these, on both
+    sides; there are at most as many such keys as partitions, and their list is broadcast.
+    """
+    usual = max(100, total // int(left.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    cut = right.withColumn("__cuts", F.ceil(F.col(count) / usual)).drop(count)
+    heavy = F.broadcast(cut.where("__cuts > 1").select(key, "__cuts"))
+    salted = left.join(heavy, key, "left").withColumn("__salt", F.pmod(F.xxhash64(*left.columns), F.coalesce("__cuts", F.lit(1)))).drop("__cuts")
+    copies = cut.withColumn("__salt", F.explode(F.sequence(F.lit(0).cast("long"), F.col("__cuts") - 1))).drop("__cuts")
+    return salted.join(copies, [key, "__salt"]).drop("__salt")
+
+
 def checkpointed(df: DataFrame) -> DataFrame:
     """Reliable checkpoint in the shared folder; its files go when the frame is garbage."""
     context = df.sparkSession.sparkContext

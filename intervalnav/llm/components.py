@@ -1,7 +1,7 @@
 """Connected components by alternating stars, on the cluster and safe against hubs.
 
-Neighbour minima come from aggregates with a map-side part and go back to the edges through joins that
-adaptive execution may split, so one node with very many neighbours does not end in one task.
+Neighbour minima come from aggregates with a map-side part and go back to the edges through joins that deal out
+the edges of a hub to several tasks.
 """
 
 from __future__ import annotations
@@ -9,14 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import checkpointed
-
-
-def _star(edges: DataFrame, pairs: DataFrame) -> DataFrame:
-    """Every neighbour v of u in ``pairs`` (u, v) goes to the least of u and u's neighbours in ``edges``."""
-    least = edges.groupBy("u").agg(F.min("v").alias("m")).withColumn("m", F.least("m", "u"))
-    moved = pairs.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
-    return moved
+from .common import checkpointed, spread_join
 
 
 def connected(edges: DataFrame, rounds: int = 60) -> DataFrame:
@@ -25,10 +18,12 @@ def connected(edges: DataFrame, rounds: int = 60) -> DataFrame:
     mark = _mark(now)
     for _ in range(rounds):
         both = now.union(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        large = _star(both, both.where("v > u")).where("u != v").distinct()  # larger neighbours to the least one
-        down = large.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
-        least = down.groupBy("u").agg(F.min("v").alias("m"))
-        small = down.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).union(least.select("u", F.col("m").alias("v")))
+        least = checkpointed(both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"), F.count("*").alias("c")))
+        # Larger neighbours go to the least one.
+        large = spread_join(both.where("v > u"), least, "u", "c", 2 * mark[0]).select(F.col("v").alias("u"), F.col("m").alias("v"))
+        down = large.where("u != v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
+        low = down.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("c"))
+        small = spread_join(down, low, "u", "c", mark[0]).select(F.col("v").alias("u"), F.col("m").alias("v")).union(low.select("u", F.col("m").alias("v")))
         after = checkpointed(small.where("u != v").distinct())
         before, mark, now = mark, _mark(after), after
         if mark == before:

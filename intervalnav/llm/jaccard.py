@@ -33,9 +33,9 @@ from .common import checkpointed, written
 from .components import connected
 
 STEP = 64
-SEGMENTED = 90  # least percentage that finds its candidates by segments
+SEGMENTED = 80  # least percentage that finds its candidates by segments
 SAMPLED, COMMON = 2_000_000, 200_000  # n-grams that are counted for the order of rarity, and those it keeps
-RATIO = 0.7  # between the sizes of two classes
+BITMAP = 1 << 19  # words of 64 bits that say which documents are wanted
 MINOR, MAJOR = 64, 192  # sets in a block of the last comparison
 _SALT = np.uint64(0x5851F42D4C957F2D)
 
@@ -55,7 +55,9 @@ def sets_of(column: pa.Array, n: int) -> tuple[np.ndarray, np.ndarray]:
     last = np.cumsum(per)[rows] if len(rows) else per[:0]
     fits = np.arange(len(h)) + width <= last
     code, rows = code[fits], rows[fits]
-    order = np.lexsort((code, rows))
+    order = np.argsort(code)
+    by_row = rows[order].astype(np.uint16) if len(offs) < 1 << 16 else rows[order]  # 16 bits are sorted by digits
+    order = order[np.argsort(by_row, kind="stable")]
     code, rows = code[order], rows[order]
     keep = np.ones(len(code), bool)
     keep[1:] = (code[1:] != code[:-1]) | (rows[1:] != rows[:-1])
@@ -76,16 +78,20 @@ def set_ids(code: np.ndarray, offs: np.ndarray) -> np.ndarray:
 
 
 class Classes:
-    """Size classes, their number of segments, and who takes part where."""
+    """Size classes, their number of segments, and who takes part where.
+
+    Segments get smaller with the percentage; narrower classes then keep them from being empty too often.
+    """
 
     def __init__(self, percent: int):
         self.percent = percent
+        self.ratio = 0.7 if percent >= 90 else 0.85  # between the sizes of two classes
 
     def of(self, size: np.ndarray) -> np.ndarray:
-        return np.floor(np.log(np.maximum(size, 1)) / -np.log(RATIO) + 1e-9).astype(np.int64)
+        return np.floor(np.log(np.maximum(size, 1)) / -np.log(self.ratio) + 1e-9).astype(np.int64)
 
     def largest(self, c: np.ndarray) -> np.ndarray:
-        return np.ceil(RATIO ** -(c.astype(float) + 1) + 1e-6).astype(np.int64)
+        return np.ceil(self.ratio ** -(c.astype(float) + 1) + 1e-6).astype(np.int64)
 
     def segments(self, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """How many, and how many of them may be empty in a set whose links all share a full one."""
@@ -271,6 +277,17 @@ def _pairs(found: list[tuple[int, int]]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(both[:, 0]), pa.array(both[:, 1])], names=["u", "v"])
 
 
+def _of(source: DataFrame, wanted: DataFrame) -> DataFrame:
+    """The rows whose doc_id is wanted; a filter of bounded size keeps most others out of the shuffle."""
+    word = lambda c: F.pmod(F.xxhash64(c), F.lit(BITMAP)).cast("int")
+    bit = lambda c: F.call_function("shiftleft", F.lit(1).cast("long"), F.shiftrightunsigned(F.xxhash64(c), 40).bitwiseAND(F.lit(63)).cast("int"))
+    bits = wanted.groupBy(word("doc_id").alias("word")).agg(F.bit_or(bit("doc_id")).alias("bits"))  # at most BITMAP rows
+    likely = source.join(F.broadcast(bits), word("doc_id") == F.col("word")).where(F.col("bits").bitwiseAND(bit("doc_id")) != 0).select(*source.columns)
+    # An inner join, since the optimiser would put a semi join below the filter.
+    own = wanted.select(F.col("doc_id").alias("wanted")).distinct()
+    return likely.join(own.hint("merge"), F.col("doc_id").eqNullSafe(F.col("wanted"))).drop("wanted")
+
+
 def _common(sets: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     """Hashes (ascending) and counts of the n-grams that most of these (s, members) hold, if more than one does."""
 
@@ -366,8 +383,10 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
                 yield pa.RecordBatch.from_arrays([pa.array(sigs[keep].view(np.int64)), pa.array(ids[owner[keep]])], names=["sig", "s"])
 
     signed = source.mapInArrow(sign, "sig long, s long")
-    shared = signed.groupBy("sig").agg(F.min("s").alias("p"), F.max("s").alias("q")).where("p != q").select("sig", "p")
-    held = signed.join(shared, "sig")
+    # One shuffle of the keys: those that only one set has go where they arrive. Sets of one key are alike (or share a
+    # rare n-gram), so a key has few next to a task's keys.
+    by_sig = Window.partitionBy("sig")
+    held = signed.withColumns({"p": F.min("s").over(by_sig), "q": F.max("s").over(by_sig)}).where("p != q").select("sig", "s", "p")
     if not segmented:
         held = written(held.distinct(), "sets-held")
     votes = held.where("s != p").groupBy("p", "s").agg(F.count("*").alias("c"))
@@ -377,9 +396,9 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
 
     # Members of the candidate sets, from one document of each.
     firsts = meta.where("n > 0").groupBy("s").agg(F.min("doc_id").alias("doc_id"))
-    wanted = firsts.join(clusters, "s", "left_semi")
-
-    texts = source.join(wanted.select("doc_id"), "doc_id", "left_semi").select("t")
+    wanted = firsts.join(clusters, "s", "left_semi").select("s", "doc_id")
+    wanted = written(wanted, "sets-wanted")
+    texts = _of(source, wanted.select("doc_id")).select("t")
     stored = written(texts.mapInArrow(members, "s long, members binary").dropDuplicates(["s"]), "sets-members")
 
     # First comparison: every set with the pivot that it shares most segments with, in blocks.
