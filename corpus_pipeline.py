@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from intervalnav.llm import jaccard, langid, linededup
-from intervalnav.llm.common import release, tables_made, written
+from intervalnav.llm.common import release, tables_made, without, written
 from intervalnav.llm.queries_langid import held_out
 from intervalnav.llm.queries_packing import packed
 
@@ -55,8 +55,9 @@ def without_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 @_stage
 def without_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document with the least id of every group of near copies."""
-    later = jaccard.components(docs.select("doc_id", "text"), n=NEAR_WORDS, percent=NEAR_PERCENT).where("doc_id != component_id").select("doc_id").distinct()
-    return docs.join(later, "doc_id", "left_anti").select(*docs.columns)
+    found = jaccard.components(docs.select("doc_id", "text"), n=NEAR_WORDS, percent=NEAR_PERCENT)
+    later = written(found.where("doc_id != component_id").select("doc_id").distinct(), "near-copies")
+    return without(docs, "doc_id", later).select(*docs.columns)
 
 
 @_stage

@@ -20,6 +20,8 @@ def shared_folder(spark: SparkSession) -> str:
     return folder
 
 
+BITMAP = 1 << 19  # words of 64 bits: the bound of a key filter
+
 _written: list[str] = []
 
 
@@ -68,6 +70,24 @@ def spread_join(left: DataFrame, right: DataFrame, key: str, count: str, total:
     return salted.join(copies, [key, "__salt"]).drop("__salt")
 
 
+def marked(rows: DataFrame, key: str, wanted: DataFrame, name: str = "__marked") -> DataFrame:
+    """The rows with a flag that is false only where ``key`` is not among ``wanted`` (one column); a broadcast of bounded size."""
+    hashed = lambda c: F.xxhash64(c, F.lit(17))
+    word = lambda c: F.pmod(hashed(c), F.lit(BITMAP)).cast("int")
+    bit = lambda c: F.call_function("shiftleft", F.lit(1).cast("long"), F.shiftrightunsigned(hashed(c), 40).bitwiseAND(F.lit(63)).cast("int"))
+    given = F.col(wanted.columns[0])
+    bits = wanted.groupBy(word(given).alias("__word")).agg(F.bit_or(bit(given)).alias("__bits"))  # at most BITMAP rows
+    flag = F.coalesce(F.col("__bits").bitwiseAND(bit(F.col(key))) != 0, F.lit(False))
+    return rows.join(F.broadcast(bits), word(F.col(key)) == F.col("__word"), "left").select(*rows.columns, flag.alias(name))
+
+
+def without(rows: DataFrame, key: str, gone: DataFrame) -> DataFrame:
+    """The rows whose key is not in ``gone`` (one column, no nulls); few of the others are shuffled."""
+    flagged = marked(rows, key, gone)
+    unsure = flagged.where("__marked").join(gone.distinct().toDF("__gone"), F.col(key) == F.col("__gone"), "left_anti")
+    return flagged.where("not __marked").union(unsure).drop("__marked")
+
+
 def checkpointed(df: DataFrame) -> DataFrame:
     """Reliable checkpoint in the shared folder; its files go when the frame is garbage."""
     context = df.sparkSession.sparkContext

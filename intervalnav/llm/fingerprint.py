@@ -1,12 +1,10 @@
 """Document fingerprints by consistent weighted sampling, with DataFrame functions only.
 
-A text is the bag of its word shingles. A shingle of weight w (its count) stands for w units, numbered from 1,
-which are samples' terms of weight 1. For every unit and repeat, hashes give two gamma variates and a
-uniform one, and from them follows a sample; the least sample wins. The chance that two bags have the same
-winner is their generalised Jaccard similarity: the sum of the lesser weights (the units in both) over the sum
-of the greater ones (those in either). A repeat may be divided into slots by the units' hashes, each with its own
-winner: one sample per unit then serves all slots, and a heavy shingle has its share in every slot.
-A fingerprint is four hex digits for each repeat and slot, ``0000`` where a slot has no shingle.
+A text is the bag of its word shingles; a shingle's weight is its count. For every shingle and sample, hashes give
+two gamma variates and a uniform one; from these and the weight follow a level and a value, and the shingle with the
+least value is the sample, named by the shingle and its level. The chance that two bags have the same sample is
+their generalised Jaccard similarity: the sum of the lesser weights over the sum of the greater ones. All samples
+are taken over the whole bag, so short texts have as many as long ones. A fingerprint is four hex digits a sample.
 
 Defined cases: null texts count as empty; a text without words has an empty bag, whose fingerprint is all
 zeros and which is like another empty one (1.0) and unlike any other (0.0); shorter texts than a shingle are
@@ -23,7 +21,9 @@ from .common import written
 
 BLOCK = 200  # ids in a block: what one task must hold together
 SPAN = 4096  # blocks in a group when successors are looked up
+GROUP = 8  # samples that are drawn together
 CHARS = 3_000_000  # of text in a partition, about
+REACH = 24.0  # a sample is empty, and so unlike any other, with a probability of exp(-REACH) = 4e-11
 
 
 def shingles(text: Column, words: int) -> Column:
@@ -38,36 +38,46 @@ def shingles(text: Column, words: int) -> Column:
     return F.when(F.trim(text, F.lit(" \t\n\v\f\r")) != "", once).otherwise(F.array().cast("array<long>"))
 
 
-def sample(term: Column, weight: Column, repeat: int, slots: int) -> Column:
-    """struct(slot, v): v orders by the sample's value and ends in 32 bits that name the sample."""
-    one, two = F.xxhash64(term, F.lit(2 * repeat)), F.xxhash64(term, F.lit(2 * repeat + 1))
+def sample(term: Column, weight: Column, whole: Column, number: Column) -> Column:
+    """A term's candidate for a sample: a long that orders by the value and ends in 32 bits that name term and level.
+
+    The least value of a bag of weight ``whole`` is over REACH / whole once in exp(REACH) samples. A value is at least
+    (1 - u3 u4) u1 u2 / weight in the uniform numbers, so most candidates are known to lose (null) without a logarithm.
+    """
+    one, two = F.xxhash64(term, number), F.xxhash64(number, term)  # the second one is needed by few candidates
 
     def uniform(h: Column, shift: int) -> Column:
-        return (F.shiftrightunsigned(h, shift).bitwiseAND(F.lit((1 << 21) - 1)) + F.lit(0.5)) / F.lit(float(1 << 21))
-
-    gamma = -F.ln(uniform(one, 0) * uniform(one, 21))
-    log_c = F.ln(-F.ln(uniform(one, 42) * uniform(two, 0)))
-    shift = uniform(two, 21)
-    level = F.floor(F.ln(weight.cast("double")) / gamma + shift)
-    log_a = log_c - gamma * (level - shift) - gamma
-    rank = F.least(F.greatest(((log_a + 64) * (1 << 24)).cast("long"), F.lit(0)), F.lit((1 << 31) - 1))
-    name = F.xxhash64(term, level).bitwiseAND(F.lit((1 << 32) - 1))
-    slot = F.shiftrightunsigned(two, 42) % slots + repeat * slots
-    return F.struct(slot.cast("int").alias("slot"), F.shiftleft(rank, 32).bitwiseOR(name).alias("v"))
-
-
-def fingerprints(texts: DataFrame, keys: list[str], text: str = "text", words: int = 5, repeats: int = 2, slots: int = 32) -> DataFrame:
-    """keys and fingerprint of every row; rows whose keys are equal are one bag."""
-    terms = texts.select(*keys, F.explode_outer(shingles(F.col(text), words)).alias("term"))
-    bags = terms.groupBy(*keys, "term").agg(F.count("*").alias("w"))
-    units = bags.select(*keys, "term", F.explode(F.sequence(F.lit(1), F.col("w").cast("int"))).alias("i"))
-    units = units.select(*keys, F.when(F.col("term").isNotNull(), F.xxhash64("term", "i")).alias("term"))
-    drawn = units.select(*keys, F.explode(F.array(*[F.when(F.col("term").isNotNull(), sample(F.col("term"), F.lit(1), r, slots)) for r in range(repeats)])).alias("s"))
-    least = drawn.select(*keys, "s.slot", "s.v").groupBy(*keys, "slot").agg(F.min("v").alias("v"))
-    digits = least.withColumn("d", (F.col("v").bitwiseAND(F.lit((1 << 32) - 1)) % 65535 + 1).cast("int"))
-    wide = digits.groupBy(*keys).agg(*[F.max(F.when(F.col("slot") == j, F.col("d"))).alias(f"d{j}") for j in range(repeats * slots)])
-    joined = F.concat(*[F.lpad(F.lower(F.hex(F.coalesce(f"d{j}", F.lit(0)))), 4, "0") for j in range(repeats * slots)])
-    return wide.select(*keys, joined.alias("fingerprint"))
+        return (F.shiftrightunsigned(h, shift).bitwiseAND(F.lit((1 << 16) - 1)) + F.lit(0.5)) * F.lit(1 / (1 << 16))
+
+    u12, u34, shift = uniform(one, 0) * uniform(one, 16), uniform(one, 32) * uniform(one, 48), uniform(two, 32)
+    gamma, log_c = -F.ln(u12), F.ln(-F.ln(u34))
+    level = F.floor(F.ln(weight) / gamma + shift)
+    log_a = log_c - gamma * (level - shift + F.lit(1.0))  # between -64 and 4: the uniform numbers are 2 ** -17 at least
+    rank = ((log_a + F.lit(64.0)) * F.lit(float(1 << 24))).cast("long")
+    name = two.bitwiseXOR(F.shiftleft(level, 13)).bitwiseAND(F.lit((1 << 32) - 1))
+    return F.when((F.lit(1.0) - u34) * u12 * whole <= weight * REACH, F.shiftleft(rank, 32).bitwiseOR(name))
+
+
+def fingerprints(texts: DataFrame, keys: list[str], text: str = "text", words: int = 5, repeats: int = 64, slots: int = 1, carried: tuple[str, ...] = ()) -> DataFrame:
+    """keys, carried (columns of longs) and the fingerprint of ``repeats * slots`` samples; rows of equal keys are one bag."""
+    # Carried values go before the terms, so that a row of the bag is only keys, a place and a number.
+    first, count = len(carried) + 2, repeats * slots
+    bag = texts.select(*keys, *carried, shingles(F.col(text), words).alias("bag_")).withColumn("size_", F.size("bag_").cast("long"))
+    listed = F.concat(F.array(F.lit(0).cast("long"), *[F.col(c) for c in carried], F.lit(0).cast("long")), F.col("bag_"))
+    terms = bag.select(*keys, "size_", F.posexplode(listed).alias("place_", "term_")).withColumn("place_", F.least("place_", F.lit(first)))
+    bags = terms.groupBy(*keys, "size_", "place_", "term_").agg(F.count("*").cast("double").alias("w_"))
+    # Other rows than terms have no weight and lose. A row takes part in groups of samples: the code of all at once is too long to be compiled.
+    weight = F.when(F.col("place_") == first, F.col("w_")).otherwise(F.lit(0.0))
+    groups = -(-count // GROUP)
+    drawn = bags.select(*keys, "place_", "term_", weight.alias("w_"), F.coalesce("term_", F.lit(0).cast("long")).alias("hash_"), F.greatest("size_", F.lit(1)).cast("double").alias("whole_"), F.explode(F.sequence(F.lit(0), F.lit(groups - 1))).alias("g_"))
+    drawn = drawn.groupBy(*keys, "g_").agg(
+        *[F.max(F.when(F.col("place_") == i + 1, F.col("term_"))).alias(c) for i, c in enumerate(carried)],
+        *[F.min(sample(F.col("hash_"), F.col("w_"), F.col("whole_"), F.col("g_") * GROUP + j)).alias(f"v{j}") for j in range(GROUP)],
+    )
+    digits = [F.lpad(F.lower(F.hex(F.coalesce(F.col(f"v{j}").bitwiseAND(F.lit((1 << 32) - 1)) % 65535 + 1, F.lit(0)))), 4, "0") for j in range(GROUP)]
+    part = drawn.select(*keys, *carried, "g_", F.concat(*digits).alias("d_"))
+    whole = part.groupBy(*keys).agg(*[F.max(c).alias(c) for c in carried], *[F.max(F.when(F.col("g_") == g, F.col("d_"))).alias(f"g{g}") for g in range(groups)])
+    return whole.select(*keys, *carried, F.substring(F.concat(*[F.col(f"g{g}") for g in range(groups)]), 1, 4 * count).alias("fingerprint"))
 
 
 def likeness(a: Column, b: Column, size: int = 64) -> Column:
@@ -114,20 +124,23 @@ def edited(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFram
     return joined.select("block", "place", "next", "doc_id", "text", n.cast("long").alias("n_chars"), changed.alias("edited"))
 
 
-def near(docs: DataFrame, key: str = "doc_id", text: str = "text", words: int = 5, repeats: int = 2, slots: int = 32) -> DataFrame:
+def near(docs: DataFrame, key: str = "doc_id", text: str = "text", words: int = 5, repeats: int = 64) -> DataFrame:
     """Fingerprints of every text and its edited form, and how like they and the next document's are."""
     base = edited(docs, key, text)
-    sha = F.sha2(F.encode("edited", "UTF-8"), 256).alias("sha")
-    kinds = base.select("block", "place", "next", "doc_id", "n_chars", sha, F.inline(F.array(F.struct(F.lit(0).alias("kind"), F.col("text")), F.struct(F.lit(1).alias("kind"), F.col("edited").alias("text")))))
-    made = fingerprints(kinds, ["block", "place", "next", "doc_id", "n_chars", "sha", "kind"], "text", words, repeats, slots)
-    both = made.groupBy("block", "place", "next", "doc_id", "n_chars", "sha").agg(*[F.max(F.when(F.col("kind") == i, F.col("fingerprint"))).alias(c) for i, c in enumerate(("fingerprint", "edited_fingerprint"))])
-    stored = written(both.withColumnRenamed("sha", "edited_sha256"), "fingerprints")
+    sha = F.sha2(F.encode("edited", "UTF-8"), 256)
+    parts = [F.conv(F.substring("sha", 16 * i + 1, 16), 16, -10).cast("long").alias(f"sha{i}") for i in range(4)]  # signed
+    one = base.withColumn("sha", sha).select("block", "place", "next", "doc_id", "n_chars", *parts, "text", "edited")
+    kinds = one.select(*[c for c in one.columns if c not in ("text", "edited")], F.inline(F.array(F.struct(F.lit(0).alias("kind"), F.col("text")), F.struct(F.lit(1).alias("kind"), F.col("edited").alias("text")))))
+    carried = ("next", "doc_id", "n_chars", "sha0", "sha1", "sha2", "sha3")
+    made = fingerprints(kinds, ["block", "place", "kind"], "text", words, repeats, carried=carried)
+    both = made.groupBy("block", "place").agg(*[F.max(c).alias(c) for c in carried], *[F.max(F.when(F.col("kind") == i, F.col("fingerprint"))).alias(c) for i, c in enumerate(("fingerprint", "edited_fingerprint"))])
+    digest = F.concat(*[F.lpad(F.lower(F.hex(f"sha{i}")), 16, "0") for i in range(4)])
+    stored = written(both.withColumn("edited_sha256", digest).drop(*[f"sha{i}" for i in range(4)]), "fingerprints")
     heads = stored.where("place = 1").select(F.col("block").alias("next"), F.col("fingerprint").alias("head"))
     w = Window.partitionBy("block").orderBy("place")
     out = stored.withColumn("after", F.lead("fingerprint").over(w)).join(heads, "next").withColumn("after", F.coalesce("after", "head"))
-    size = repeats * slots
     return out.select(
         "doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint",
-        likeness(F.col("fingerprint"), F.col("edited_fingerprint"), size).alias("near_edited"),
-        likeness(F.col("fingerprint"), F.col("after"), size).alias("near_next"),
+        likeness(F.col("fingerprint"), F.col("edited_fingerprint"), repeats).alias("near_edited"),
+        likeness(F.col("fingerprint"), F.col("after"), repeats).alias("near_next"),
     )

@@ -29,14 +29,13 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import arrowtext as at
-from .common import checkpointed, written
+from .common import checkpointed, marked, written
 from .components import connected
 
 STEP = 64
 SEGMENTED = 80  # least percentage that finds its candidates by segments
 SAMPLED, COMMON = 2_000_000, 200_000  # n-grams that are counted for the order of rarity, and those it keeps
-BITMAP = 1 << 19  # words of 64 bits that say which documents are wanted
-MINOR, MAJOR = 64, 192  # sets in a block of the last comparison
+MINOR, MAJOR = 128, 384  # sets in a block of the last comparison
 _SALT = np.uint64(0x5851F42D4C957F2D)
 
 
@@ -85,7 +84,7 @@ class Classes:
 
     def __init__(self, percent: int):
         self.percent = percent
-        self.ratio = 0.7 if percent >= 90 else 0.85  # between the sizes of two classes
+        self.ratio, self.spare = (0.7, 16) if percent >= 90 else (0.8, 9)  # between the sizes of two classes; a segment to spare for so many
 
     def of(self, size: np.ndarray) -> np.ndarray:
         return np.floor(np.log(np.maximum(size, 1)) / -np.log(self.ratio) + 1e-9).astype(np.int64)
@@ -97,7 +96,7 @@ class Classes:
         """How many, and how many of them may be empty in a set whose links all share a full one."""
         p = self.percent  # |A ^ B| * (100 + p) <= (|A| + |B|) * (100 - p)
         apart = 2 * self.largest(c) * (100 - p) // (100 + p)
-        return apart + 1 + apart // 16, apart // 16
+        return apart + 1 + apart // self.spare, apart // self.spare
 
     def partner(self, size: np.ndarray) -> np.ndarray:
         """Class of the largest set that can link with one of this size."""
@@ -244,30 +243,33 @@ def forest(ids: np.ndarray, sets: list[np.ndarray], percent: int) -> list[tuple[
     return out
 
 
-def _compare(groups: DataFrame, keys: list[str], percent: int) -> DataFrame:
-    """Links (u, v) found in every group of (s, members); groups are small, and two that share a hash do no harm."""
-    dealt = groups.select(F.xxhash64(*keys).alias("g"), "s", "members").repartition("g").sortWithinPartitions("g")
+def _compare(groups: DataFrame, keys: list[str], n: int, percent: int) -> DataFrame:
+    """Links (u, v) found in every group of (s, t); groups are small, and two that share a hash do no harm."""
+    dealt = groups.select(F.xxhash64(*keys).alias("g"), "s", "t").repartition("g").sortWithinPartitions("g")
 
-    def solve(ids: list[np.ndarray], members: list) -> list[tuple[int, int]]:
-        own = dict(zip(np.concatenate(ids).tolist(), members, strict=True))
-        return forest(np.array(list(own)), [np.frombuffer(m, np.uint64) for m in own.values()], percent)
+    def solve(ids: list[np.ndarray], texts: list[pa.Array]) -> list[tuple[int, int]]:
+        own: dict[int, np.ndarray] = {}
+        for of, column in zip(ids, texts, strict=True):
+            code, offs = sets_of(column, n)
+            own.update(zip(of.tolist(), np.split(code, offs[1:-1]), strict=True))
+        return forest(np.array(list(own)), list(own.values()), percent)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, members, now = [], [], None
+        ids, texts, now = [], [], None
         for batch in batches:
-            g, s, column = batch.column("g").to_numpy(), batch.column("s").to_numpy(), batch.column("members")
+            g, s, column = batch.column("g").to_numpy(), batch.column("s").to_numpy(), batch.column("t")
             cuts = np.flatnonzero(np.r_[True, g[1:] != g[:-1]]) if len(g) else np.zeros(0, np.int64)
             out: list[tuple[int, int]] = []
             for a, b in zip(cuts.tolist(), [*cuts[1:].tolist(), len(g)], strict=True):
                 if g[a] != now and ids:
-                    out += solve(ids, members)
-                    ids, members = [], []
+                    out += solve(ids, texts)
+                    ids, texts = [], []
                 now = g[a]
-                ids.append(s[a:b])
-                members += column.slice(a, b - a).to_pylist()
+                ids.append(s[a:b].copy())
+                texts.append(column.slice(a, b - a))
             yield _pairs(out)
         if ids:
-            yield _pairs(solve(ids, members))
+            yield _pairs(solve(ids, texts))
 
     return dealt.mapInArrow(run, "u long, v long")
 
@@ -278,14 +280,12 @@ def _pairs(found: list[tuple[int, int]]) -> pa.RecordBatch:
 
 
 def _of(source: DataFrame, wanted: DataFrame) -> DataFrame:
-    """The rows whose doc_id is wanted; a filter of bounded size keeps most others out of the shuffle."""
-    word = lambda c: F.pmod(F.xxhash64(c), F.lit(BITMAP)).cast("int")
-    bit = lambda c: F.call_function("shiftleft", F.lit(1).cast("long"), F.shiftrightunsigned(F.xxhash64(c), 40).bitwiseAND(F.lit(63)).cast("int"))
-    bits = wanted.groupBy(word("doc_id").alias("word")).agg(F.bit_or(bit("doc_id")).alias("bits"))  # at most BITMAP rows
-    likely = source.join(F.broadcast(bits), word("doc_id") == F.col("word")).where(F.col("bits").bitwiseAND(bit("doc_id")) != 0).select(*source.columns)
+    """The rows whose doc_id is wanted, repeated ones once; most others stay out of the shuffle."""
+    likely = marked(source, "doc_id", wanted).where("__marked").drop("__marked")
     # An inner join, since the optimiser would put a semi join below the filter.
     own = wanted.select(F.col("doc_id").alias("wanted")).distinct()
-    return likely.join(own.hint("merge"), F.col("doc_id").eqNullSafe(F.col("wanted"))).drop("wanted")
+    met = likely.join(own.hint("merge"), F.col("doc_id").eqNullSafe(F.col("wanted"))).drop("wanted")
+    return met.groupBy("doc_id", F.xxhash64("t").alias("x")).agg(F.first("t").alias("t")).drop("x")
 
 
 def _common(sets: DataFrame) -> tuple[np.ndarray, np.ndarray]:
@@ -302,7 +302,7 @@ def _common(sets: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     return h[order], c[order]
 
 
-def _in_clusters(clusters: DataFrame, label: DataFrame, stored: DataFrame, percent: int) -> DataFrame:
+def _in_clusters(clusters: DataFrame, label: DataFrame, stored: DataFrame, n: int, percent: int) -> DataFrame:
     """Links in clusters of several components, from all sets outside the largest one to all others."""
     labels = checkpointed(clusters.join(label.select(F.col("u").alias("s"), F.col("root").alias("label")), "s", "left").withColumn("label", F.coalesce("label", "s")))
 
@@ -319,10 +319,10 @@ def _in_clusters(clusters: DataFrame, label: DataFrame, stored: DataFrame, perce
         .union(major.select("root", "s", F.explode(to_all(F.col("minors"))).alias("a"), "b"))
         .union(minor.where("minors > 1").select("root", "s", F.explode(F.transform(F.filter(to_all(F.col("minors")), lambda o: o != F.col("a")), lambda o: F.struct(F.least("a", o).alias("a"), (-1 - F.greatest("a", o)).alias("b")))).alias("k"), ).select("root", "s", "k.a", "k.b"))
     )
-    return _compare(tasks.join(stored, "s"), ["root", "a", "b"], percent)
+    return _compare(tasks.join(stored, "s"), ["root", "a", "b"], n, percent)
 
 
-def _in_keys(held: DataFrame, label: DataFrame, sizes: DataFrame, stored: DataFrame, percent: int) -> DataFrame:
+def _in_keys(held: DataFrame, label: DataFrame, sizes: DataFrame, stored: DataFrame, n: int, percent: int) -> DataFrame:
     """Links between sets of different components that share a key (sig, s), in blocks of one set with some others."""
     known = sizes.join(label.select(F.col("u").alias("s"), "root"), "s", "left").withColumn("root", F.coalesce("root", "s"))
     placed = held.select("sig", "s").join(known, "s")
@@ -338,7 +338,7 @@ def _in_keys(held: DataFrame, label: DataFrame, sizes: DataFrame, stored: DataFr
     blocks = pairs.groupBy("u").agg(F.ceil(F.count("*") / MAJOR).alias("blocks"))
     dealt = pairs.join(blocks, "u").select("u", F.pmod(F.xxhash64("v", F.lit(7)), F.col("blocks")).alias("b"), F.col("v").alias("s"))
     dealt = dealt.union(dealt.select("u", "b", F.col("u").alias("s")).distinct())
-    return _compare(dealt.join(stored, "s"), ["u", "b"], percent)
+    return _compare(dealt.join(stored, "s"), ["u", "b"], n, percent)
 
 
 def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3, percent: int = 90) -> DataFrame:
@@ -394,12 +394,16 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
     cluster = connected(votes.select(F.col("p").alias("u"), F.col("s").alias("v")))
     clusters = written(cluster.select(F.col("u").alias("s"), "root").union(cluster.select(F.col("root").alias("s"), "root").distinct()), "sets-clusters")
 
-    # Members of the candidate sets, from one document of each.
+    # Texts of the candidate sets, from one document of each: shorter than the sets, which are made again where they meet.
+    def named(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for part in at.blocks(batch, "t"):
+                yield pa.RecordBatch.from_arrays([pa.array(set_ids(*sets_of(part.column("t"), n))), part.column("t")], names=["s", "t"])
+
     firsts = meta.where("n > 0").groupBy("s").agg(F.min("doc_id").alias("doc_id"))
-    wanted = firsts.join(clusters, "s", "left_semi").select("s", "doc_id")
-    wanted = written(wanted, "sets-wanted")
+    wanted = written(firsts.join(clusters, "s", "left_semi").select("s", "doc_id"), "sets-wanted")
     texts = _of(source, wanted.select("doc_id")).select("t")
-    stored = written(texts.mapInArrow(members, "s long, members binary").dropDuplicates(["s"]), "sets-members")
+    stored = written(texts.mapInArrow(named, "s long, t string"), "sets-texts")
 
     # First comparison: every set with the pivot that it shares most segments with, in blocks.
     best = votes.groupBy("s").agg(F.max_by("p", F.struct("c", -F.col("p"))).alias("p"))
@@ -408,13 +412,13 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
     sizes = best.groupBy("p").agg(F.count("*").alias("k"))
     dealt = dealt.join(sizes, "p").withColumn("b", F.when(F.col("k") <= MAJOR, F.lit(0)).otherwise(F.col("b"))).select("p", "b", "s")
     dealt = dealt.union(dealt.select("p", "b", F.col("p").alias("s")).distinct())
-    links = written(_compare(dealt.join(stored, "s"), ["p", "b"], percent), "sets-links")
+    links = written(_compare(dealt.join(stored, "s"), ["p", "b"], n, percent), "sets-links")
     label = connected(links)
     if segmented:
-        more = _in_clusters(clusters, label, stored, percent)
+        more = _in_clusters(clusters, label, stored, n, percent)
     else:
         sizes = meta.where("n > 0").groupBy("s").agg(F.first("n").alias("n")).join(wanted.select("s"), "s")
-        more = _in_keys(held, label, sizes, stored, percent)
+        more = _in_keys(held, label, sizes, stored, n, percent)
     final = connected(written(links.union(more), "sets-all-links"))
 
     by_set = firsts.withColumnRenamed("doc_id", "first").join(final.withColumnRenamed("u", "s"), "s", "left").withColumn("root", F.coalesce("root", "s"))
