@@ -146,8 +146,11 @@ class Utf8Machine:
     Ill-formed bytes give U+FFFD for each maximal part, as Unicode recommends.
     """
 
-    def __init__(self):
-        self.need, self.low, self.high, self.value = 0, 0x80, 0xBF, 0
+    def __init__(self, state: tuple[int, int, int, int] = (0, 0x80, 0xBF, 0)):
+        self.need, self.low, self.high, self.value = state
+
+    def state(self) -> tuple[int, int, int, int]:
+        return self.need, self.low, self.high, self.value if self.need else 0
 
     def feed(self, data: bytes) -> str:
         out: list[str] = []
@@ -187,12 +190,7 @@ class Coder:
         self.pieces = regex.compile(pattern)
         self.known: dict[str, str] = {}
         self.old: dict[str, str] = {}
-        self.whole: dict[str, str | None] = {}  # characters of tokens that are whole UTF-8, by decimal id
-        for token, i in self.transducer.ranks.items():
-            try:
-                self.whole[str(i)] = token.decode()
-            except UnicodeDecodeError:
-                self.whole[str(i)] = None
+        self.moves: dict[tuple, dict[str, tuple[str, tuple]]] = {}  # of the UTF-8 machine: by its state and the decimal id
 
     def encode(self, text: str) -> str:
         """Decimal ids joined by spaces."""
@@ -210,20 +208,26 @@ class Coder:
                 known[piece] = self.old.get(piece) or " ".join(map(str, self.transducer.encode(piece.encode())))
         return " ".join([known[p] for p in found])
 
+    def _move(self, state: tuple, token: str) -> tuple[str, tuple]:
+        machine = Utf8Machine(state)
+        made = self.moves.setdefault(state, {})[token] = machine.feed(self.transducer.bytes_of[int(token)]), machine.state()
+        return made
+
     def decode(self, ids: Iterable[str]) -> Iterator[str]:
-        """Texts of the decimal ids, in a stream; tokens of whole characters pass unless a character is cut open."""
-        machine, bytes_of = Utf8Machine(), self.transducer.bytes_of
+        """Characters of the decimal ids, in a stream; what the machine does with a token in a state is done once."""
+        state = Utf8Machine().state()
+        if sum(map(len, self.moves.values())) > STATES:
+            self.moves.clear()
+        moves = self.moves.setdefault(state, {})
         for i in ids:
-            piece = self.whole[i]
-            yield piece if piece is not None and not machine.need else machine.feed(bytes_of[int(i)])
-        yield machine.finish()
+            text, after = moves.get(i) or self._move(state, i)
+            yield text
+            if after != state:
+                state, moves = after, self.moves.setdefault(after, {})
+        yield Utf8Machine(state).finish()
 
     def decode_all(self, joined: str) -> str:
-        ids = joined.split(" ") if joined else []
-        try:
-            return "".join([self.whole[i] for i in ids])
-        except TypeError:  # a token with a part of a character
-            return "".join(self.decode(ids))
+        return "".join(self.decode(joined.split(" ") if joined else []))
 
 
 _coders: dict[tuple[str, str], Coder] = {}

@@ -1,6 +1,6 @@
 """Language identification with bit-sliced Bloom filters over byte n-grams.
 
-Every slot of the filter array holds a bit mask of languages. The AND of an n-gram's slots is the set of
+Every slot of the filter array holds a bit mask of languages (a word for every 63 of them). The AND of an n-gram's slots is the set of
 languages whose filter contains it, so one probe answers for all languages. A text's score for a language
 is the number of its n-grams in that language's filter, less the expected number of false positives.
 
@@ -22,6 +22,8 @@ from pyspark.sql import functions as F
 
 from . import arrowtext as at
 
+WORD = 63  # languages in a mask's word
+
 # Bytes that can belong to a letter: ASCII letters and all bytes of longer UTF-8 sequences.
 _LETTER = np.zeros(256, bool)
 _LETTER[ord("a") : ord("z") + 1] = True
@@ -38,15 +40,17 @@ class Params:
     probes: int = 3
     least_count: int = 3
     least_share: float = 0.2
-    max_languages: int = 63
 
 
 @dataclass(frozen=True)
 class Model:
+    """``masks``: a word a slot for the first 63 languages; ``more``: further words, a row for every 63 languages."""
+
     languages: list[str]
     masks: np.ndarray
     false_rate: np.ndarray
     params: Params = field(default_factory=Params)
+    more: np.ndarray = field(default_factory=lambda: np.zeros((0, 0), np.uint64))
 
 
 def grams(column: pa.Array, orders: tuple[int, ...]) -> tuple[np.ndarray, np.ndarray]:
@@ -91,7 +95,7 @@ def slots_of(codes: np.ndarray, probes: int, slots: int) -> Iterator[np.ndarray]
 def learn(labelled: DataFrame, text: str = "text", lang: str = "lang", key: str = "doc_id", params: Params = Params()) -> Model:
     """Filters from a bounded sample of labelled rows: about ``per_language`` rows of each language, by key hash."""
     rows = labelled.select(F.col(key).alias("k"), F.col(text).alias("t"), F.col(lang).alias("l")).where("l is not null and t is not null")
-    sizes = dict(rows.groupBy("l").count().orderBy(F.desc("count"), "l").limit(params.max_languages).collect())
+    sizes = dict(rows.groupBy("l").count().collect())  # a row for each language
     languages = sorted(sizes)
     if not languages:
         return Model([], np.zeros(params.slots, np.uint64), np.zeros(0), params)
@@ -114,28 +118,27 @@ def learn(labelled: DataFrame, text: str = "text", lang: str = "lang", key: str
                 yield pa.RecordBatch.from_arrays([pa.array(lang_of[where].astype(np.int32)), pa.array(codes[where].view(np.int64)), pa.array(n)], ["n", "g", "c"])
 
     counted = sample.select(number[F.col("l")].cast("int").alias("n"), "t").mapInArrow(count, "n int, g long, c long").groupBy("n", "g").agg(F.sum("c").alias("c"))
-    totals = F.broadcast(counted.groupBy("n").agg(F.sum("c").alias("total")))  # at most max_languages rows
+    totals = F.broadcast(counted.groupBy("n").agg(F.sum("c").alias("total")))  # a row for each language
     rated = counted.join(totals, "n").withColumn("rate", F.col("c") / F.col("total"))
     # An n-gram is a language's own if frequent enough there next to the language that has it most.
     best = rated.groupBy("g").agg(F.max("rate").alias("best"), F.collect_list(F.struct("n", "c", "rate")).alias("of"))
-    mask = F.aggregate(
-        F.filter("of", lambda x: (x["rate"] >= F.col("best") * params.least_share) & (x["c"] >= params.least_count)),
-        F.lit(0).cast("long"), lambda a, x: a.bitwiseOR(F.call_function("shiftleft", F.lit(1).cast("long"), x["n"])),
-    )
+    own = F.filter("of", lambda x: (x["rate"] >= F.col("best") * params.least_share) & (x["c"] >= params.least_count))
+    held = best.select("g", F.explode(own).alias("x")).select("g", F.expr(f"x.n div {WORD}").cast("int").alias("w"), F.call_function("shiftleft", F.lit(1).cast("long"), F.col("x.n") % WORD).alias("m"))
+    held = held.groupBy("g", "w").agg(F.bit_or("m").alias("m"))
     probes, slots = params.probes, params.slots
 
     def place(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            codes, m = batch.column("g").to_numpy().view(np.uint64), batch.column("m").to_numpy()
+            codes, w, m = batch.column("g").to_numpy().view(np.uint64), batch.column("w"), batch.column("m")
             for slot in slots_of(codes, probes, slots):
-                yield pa.RecordBatch.from_arrays([pa.array(slot.astype(np.int32)), pa.array(m)], ["slot", "m"])
+                yield pa.RecordBatch.from_arrays([pa.array(slot.astype(np.int32)), w, m], ["slot", "w", "m"])
 
-    filled = best.select("g", mask.alias("m")).where("m != 0").mapInArrow(place, "slot int, m long").groupBy("slot").agg(F.bit_or("m").alias("m"))
-    masks = np.zeros(slots, np.uint64)
-    got = filled.toArrow()  # at most ``slots`` rows
-    masks[got.column("slot").to_numpy()] = got.column("m").to_numpy().view(np.uint64)
-    fill = np.array([((masks >> np.uint64(i)) & np.uint64(1)).mean() for i in range(len(languages))])
-    return Model(languages, masks, fill**probes, params)
+    filled = held.mapInArrow(place, "slot int, w int, m long").groupBy("slot", "w").agg(F.bit_or("m").alias("m"))
+    masks = np.zeros((-(-len(languages) // WORD), slots), np.uint64)
+    got = filled.toArrow()  # at most ``slots`` rows for every 63 languages
+    masks[got.column("w").to_numpy(), got.column("slot").to_numpy()] = got.column("m").to_numpy().view(np.uint64)
+    fill = np.array([((masks[i // WORD] >> np.uint64(i % WORD)) & np.uint64(1)).mean() for i in range(len(languages))])
+    return Model(languages, masks[0], fill**probes, params, masks[1:])
 
 
 def judge(model: Model, column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -145,11 +148,15 @@ def judge(model: Model, column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.nd
     has_letter = np.asarray(pc.match_substring_regex(column, r"\pL").fill_null(False).to_numpy(zero_copy_only=False), bool)
     if not n_lang or not rows:
         return np.full(rows, -1), np.zeros(rows), np.zeros(rows)
-    held = np.full(len(codes), ~np.uint64(0))
-    for slot in slots_of(codes, p.probes, p.slots):
-        held &= model.masks[slot]
     total = np.bincount(owner, minlength=rows)
-    hits = np.stack([np.bincount(owner[(held >> np.uint64(i)) & np.uint64(1) != 0], minlength=rows) for i in range(n_lang)], 1)
+    hits = np.zeros((rows, n_lang))
+    places = list(slots_of(codes, p.probes, p.slots))
+    for word, masks in enumerate([model.masks, *model.more]):
+        held = masks[places[0]]
+        for slot in places[1:]:
+            held &= masks[slot]
+        for i in range(word * WORD, min(n_lang, (word + 1) * WORD)):
+            hits[:, i] = np.bincount(owner[(held >> np.uint64(i % WORD)) & np.uint64(1) != 0], minlength=rows)
     fixed = np.maximum(0, (hits - total[:, None] * model.false_rate) / (1 - np.minimum(model.false_rate, 0.99)))
     best = fixed.argmax(1)
     top = fixed[np.arange(rows), best]
