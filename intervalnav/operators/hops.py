@@ -33,5 +33,7 @@ def search(nodes: DataFrame, edges: DataFrame, queries: DataFrame, entries: Data
         best = opened.union(fresh).withColumn("r", F.row_number().over(Window.partitionBy("qid").orderBy("d", "id")))
         beam = checkpointed(best.where(F.col("r") <= ef).drop("r"))
         met = checkpointed(met.union(fresh.select("qid", "id")))
+    else:
+        raise RuntimeError(f"the beams are not settled after {limit} rounds")
     out = beam.withColumn("rank", F.row_number().over(Window.partitionBy("qid").orderBy("d", "id"))).join(q.select("qid", "k"), "qid")
     return out.where(F.col("rank") <= F.col("k")).select("qid", "rank", "id", F.sqrt("d").alias("d"))

@@ -10,6 +10,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..plans import store
 from . import exact, kernels
 from .exact import ranked, vectors
 from .methods import IntervalGraph, Method, Query
@@ -79,23 +80,33 @@ def repairs(packed: DataFrame) -> DataFrame:
     return packed.select("blob").mapInArrow(out, "src long, dst long")
 
 
+def wanted(packed: DataFrame, block: list) -> DataFrame:
+    """The shards that can hold a valid object of one of the queries (at most a block of them)."""
+    asked = packed.sparkSession.createDataFrame([(r["ql"], r["qr"], r["mode"]) for r in block], "ql double, qr double, mode string")
+    shards = store.routed(asked, packed).select("shard").distinct()
+    return packed.join(F.broadcast(shards), "shard", "left_semi")
+
+
 def search(packed: DataFrame, queries: DataFrame, ef: int, method: Method | None = None, effort: bool = False) -> DataFrame:
     """(qid, rank, id, d) of every query; with ``effort`` (qid, shards, hops, edges, distances) instead.
 
-    Queries are broadcast in blocks; a task answers those that can have a valid object in the shards it reads.
+    Queries are broadcast in blocks; a task answers those that can have a valid object in the shards it reads. Where
+    there are fewer shards than the cluster has places, several tasks share a shard's queries.
     """
     method = method or IntervalGraph()
     found = None
+    shards = packed.select("shard").count()
+    share = max(1, packed.sparkSession.sparkContext.defaultParallelism // max(1, shards))
     for block in exact._blocks_of(queries):
         shared = packed.sparkSession.sparkContext.broadcast([(r["qid"], np.array(r["qvec"], np.float64), r["ql"], r["qr"], r["k"], r["mode"]) for r in block])
 
         def answer(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 for row in range(batch.num_rows):
-                    b = {c: batch.column(c)[row].as_py() for c in ("lo_min", "lo_max", "hi_min", "hi_max", "blob")}
+                    b = {c: batch.column(c)[row].as_py() for c in ("lo_min", "lo_max", "hi_min", "hi_max", "blob", "part")}
                     s, data = _load(b.pop("blob"))
                     out: list[tuple] = []
-                    for qid, q, ql, qr, k, mode in shared.value:
+                    for qid, q, ql, qr, k, mode in shared.value[b["part"] :: share]:
                         if ql > qr:
                             raise ValueError(f"query {qid}: its range is inverted")
                         if mode == "within" and (b["lo_max"] < ql or b["hi_min"] > qr) or mode == "covers" and (b["lo_min"] > ql or b["hi_max"] < qr):
@@ -109,7 +120,9 @@ def search(packed: DataFrame, queries: DataFrame, ef: int, method: Method | None
                     names = ["qid", "shards", "hops", "edges", "distances"] if effort else ["qid", "id", "d"]
                     yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], t) for i, t in enumerate(types)], names=names)
 
-        part = packed.select("lo_min", "lo_max", "hi_min", "hi_max", "blob").mapInArrow(answer, "qid long, shards long, hops long, edges long, distances long" if effort else exact.RESULT)
+        # Shards that no query of the block can need are left out before their blobs reach a worker.
+        read = wanted(packed, block).select("lo_min", "lo_max", "hi_min", "hi_max", "blob", F.explode(F.sequence(F.lit(0), F.lit(share - 1))).alias("part"))
+        part = (read.repartition(shards * share) if share > 1 else read).mapInArrow(answer, "qid long, shards long, hops long, edges long, distances long" if effort else exact.RESULT)
         found = part if found is None else found.union(part)
     if found is None:
         found = packed.sparkSession.createDataFrame([], exact.RESULT)

@@ -47,6 +47,17 @@ def _ok(shard: Shard, query: Query) -> np.ndarray:
     return valid(query.mode, shard.lo, shard.hi, query.ql, query.qr)
 
 
+class Tested:
+    """Validity of objects, tested where asked for: a beam pays for the neighbours that it meets, not for all objects."""
+
+    def __init__(self, shard: Shard, query: Query):
+        self.shard, self.query = shard, query
+
+    def __getitem__(self, i):
+        s, q = self.shard, self.query
+        return valid(q.mode, s.lo[i], s.hi[i], q.ql, q.qr) if q.mode != "any" else np.ones(np.shape(i), bool)
+
+
 def _medoid(shard: Shard) -> int:
     diff = shard.x - shard.x.mean(0)
     return int(np.einsum("ij,ij->i", diff, diff).argmin())
@@ -131,9 +142,9 @@ class IntervalGraph(Method):
         if "graph" not in data:
             data["graph"] = Adjacency.of(len(shard.ids), data["src"], data["dst"], data["bits"])
             data["entries"] = Entries.of(shard)
-        ok = _ok(shard, query)
+        ok = Tested(shard, query)
         if self.entry == "hash":  # any valid object will do
-            of = np.flatnonzero(ok)
+            of = np.flatnonzero(_ok(shard, query))
             start = int(of[_hash(of, 5).argmin()]) if len(of) else -1
         else:
             start = data["entries"].find(query.mode, query.ql, query.qr)
@@ -176,7 +187,7 @@ class PlainGraph(Method):
         if "graph" not in data:
             data["graph"] = Adjacency.of(n, data["src"], data["dst"], np.full(len(data["src"]), 3, np.int8))
             data["entries"] = Entries.of(shard)
-        ok = _ok(shard, query)
+        ok = Tested(shard, query)
         ef = max(query.ef, query.k)
         if self.how == "in":
             start = data["entries"].find(query.mode, query.ql, query.qr)
@@ -373,7 +384,7 @@ class TwoHop(PlainGraph):
             data["graph"] = Adjacency.of(n, data["src"], data["dst"], np.full(len(data["src"]), 3, np.int8))
             data["entries"] = Entries.of(shard)
         start = data["entries"].find(query.mode, query.ql, query.qr)
-        found, effort = kn.beam(shard, data["graph"], [start] if start >= 0 else [], query.q, max(query.ef, query.k), 3, _ok(shard, query), hops=2)
+        found, effort = kn.beam(shard, data["graph"], [start] if start >= 0 else [], query.q, max(query.ef, query.k), 3, Tested(shard, query), hops=2)
         return found[: query.k], effort
 
 
@@ -463,7 +474,7 @@ class Lifetimes(Method):
         start = entries.find("covers", query.ql, query.qr)
         alive = (data["from"] <= query.ql) & (data["to"] >= query.qr)
         graph = Adjacency.of(len(shard.ids), data["src"][alive], data["dst"][alive], np.full(int(alive.sum()), 3))
-        found, effort = kn.beam(shard, graph, [start] if start >= 0 else [], query.q, max(query.ef, query.k), 3, _ok(shard, query))
+        found, effort = kn.beam(shard, graph, [start] if start >= 0 else [], query.q, max(query.ef, query.k), 3, Tested(shard, query))
         return found[: query.k], effort
 
 
@@ -531,7 +542,7 @@ class Rectangles(Method):
         start = entries.find("within", query.ql, query.qr)
         on = (data["l0"] <= query.ql) & (query.ql <= data["l1"]) & (data["r0"] <= query.qr) & (query.qr <= data["r1"])
         graph = Adjacency.of(len(shard.ids), data["src"][on], data["dst"][on], np.full(int(on.sum()), 3))
-        found, effort = kn.beam(shard, graph, [start] if start >= 0 else [], query.q, max(query.ef, query.k), 3, _ok(shard, query))
+        found, effort = kn.beam(shard, graph, [start] if start >= 0 else [], query.q, max(query.ef, query.k), 3, Tested(shard, query))
         return found[: query.k], effort
 
 

@@ -152,6 +152,10 @@ WORKLOADS = {
     "stab": ("uniform", "covers", "stab", None),
     "short": ("uniform", "within", "uniform", 1500),
     "long": ("uniform", "within", "uniform", 6000),
+    "halves": ("uniform", "within", "halves", None),
+    "covers_50": ("uniform", "covers", "uniform", 50),
+    "covers_500": ("uniform", "covers", "uniform", 500),
+    "covers_3000": ("uniform", "covers", "uniform", 3000),
     "life": ("life", "within", "uniform", None),
 }
 

@@ -134,6 +134,40 @@ def q_budget_ablation(spark, sf_dir):
     return _one_row(spark, small_budget_loses=r["64"] >= r["8"] + 0.3, attribute_pool_gains=r["64"] >= r["spatial"] + 0.03)
 
 
+@query("q_beam_recalls", " UNION ALL ".join(f"SELECT '{x}' AS workload, true AS is_high" for x in ("within", "covers", "stab", "point", "short", "long", "halves", "covers_50", "covers_500", "covers_3000")))
+def q_beam_recalls(spark, sf_dir):
+    """Recall of the bounded graph at a beam of 80, for every workload."""
+    m = {"m": IntervalGraph(spatial=48, attribute=96, budget=128, rounds=3)}
+    rows = [(x, _recalls(spark, sf_dir, m, x, 80, 200)["m"] >= 0.95) for x in ("within", "covers", "stab", "point", "short", "long", "halves", "covers_50", "covers_500", "covers_3000")]
+    return spark.createDataFrame(rows, "workload string, is_high boolean")
+
+
+@query("q_shards_skipped", "SELECT true AS few_are_read, true AS nothing_is_lost")
+def q_shards_skipped(spark, sf_dir):
+    """Short ranges on a grid of shards: a query searches those alone that can have a valid object."""
+    packed, q = built(spark, sf_dir, EXACT, shards=9, by="grid"), workload(spark, sf_dir, "short", 100)
+    cost = index.search(packed, q, 40, EXACT, effort=True)
+    recall = measures.mean_recall(index.search(packed, q, 40, EXACT), store.checkpointed(exact.topk(objects(spark, sf_dir), q)), q)
+    return _one_row(spark, few_are_read=cost.agg(F.max("shards")).first()[0] <= 4, nothing_is_lost=recall >= 0.99)
+
+
+@query("q_baseline_recalls", " UNION ALL ".join(f"SELECT '{x}' AS method, true AS is_high" for x in ("hnsw", "vamana", "nsg", "hcnng", "partitioned_hnsw", "partitioned_vamana", "partitioned_nsg", "partitioned_hcnng")))
+def q_baseline_recalls(spark, sf_dir):
+    """Recall of the eight within methods at a beam of 60."""
+    r = _recalls(spark, sf_dir, {x: BASELINES[x][0] for x in ("hnsw", "vamana", "nsg", "hcnng", "partitioned_hnsw", "partitioned_vamana", "partitioned_nsg", "partitioned_hcnng")}, "within", 60)
+    return spark.createDataFrame([(x, y >= 0.9) for x, y in r.items()], "method string, is_high boolean")
+
+
+@query("q_effort_against_size", "SELECT true AS grows_less_than_the_table")
+def q_effort_against_size(spark, sf_dir):
+    """Distances a query on the exact graph of an eighth, a half and all of the objects."""
+    n, cost = objects(spark, sf_dir).count(), []
+    for part in (8, 2, 1):
+        packed = built(spark, sf_dir, EXACT, few=n // part)
+        cost.append(index.search(packed, workload(spark, sf_dir, "covers", 100), 10, EXACT, effort=True).agg(F.avg("distances")).first()[0])
+    return _one_row(spark, grows_less_than_the_table=cost[0] < cost[1] < cost[2] < 6 * cost[0])
+
+
 @query("q_visited_policy", "SELECT true AS push_is_better, true AS push_is_high")
 def q_visited_policy(spark, sf_dir):
     r = _recalls(spark, sf_dir, {"push": EXACT, "touch": replace(EXACT, visited="touch")}, "within", 40, build={"push": EXACT, "touch": EXACT})
@@ -232,7 +266,7 @@ def q_bl_acorn(spark, sf_dir):
 
 
 _POST = f"""WITH o AS MATERIALIZED ({st.OBJECTS}), q AS MATERIALIZED ({workload_sql("within", 60)}),
-  c AS (SELECT qid, id, lo, hi, ql, qr, {st.sq("vec", "qvec")} AS d2 FROM q, o), n AS (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY d2, id) AS r FROM c),
+  c AS MATERIALIZED (SELECT qid, id, lo, hi, ql, qr, {st.sq("vec", "qvec")} AS d2 FROM q, o), n AS (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY d2, id) AS r FROM c),
   f AS (SELECT qid, id, d2, row_number() OVER (PARTITION BY qid ORDER BY d2, id) AS rk FROM n WHERE r <= 100 AND lo >= ql AND hi <= qr)"""
 
 

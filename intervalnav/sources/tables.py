@@ -12,6 +12,8 @@ from pyspark.sql import functions as F
 OBJECT_ENDS = ((7919, 104729, 10007), (6101, 15013, 10009))
 QUERY_ENDS = ((3571, 911, 10007), (2909, 4001, 10009))
 PARTNER = (37, 11)
+ASKED = 20  # rows whose id it divides are query rows
+HALVES = (1500, 6000)  # widths of short and long ranges
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -68,11 +70,20 @@ def document_objects(spark: SparkSession, sf_dir: str, dims: int = 128) -> DataF
 
 
 def ranges(spark: SparkSession, n: int, kind: str = "uniform", width: int | None = None) -> DataFrame:
-    """(qid, ql, qr): uniform ranges, ranges of one width, or points (stab)."""
-    base = spark.range(n).withColumnRenamed("id", "qid")
+    """(qid, ql, qr) for n numbers."""
+    return with_ranges(spark.range(n).withColumnRenamed("id", "qid"), kind, width)
+
+
+def with_ranges(base: DataFrame, kind: str = "uniform", width: int | None = None) -> DataFrame:
+    """The rows (qid) with ql and qr: uniform ranges, ranges of one width, or points (stab)."""
     if kind == "stab":
         t = hashed(F.col("qid"), QUERY_ENDS[0]).cast("double")
         return base.withColumns({"ql": t, "qr": t})
+    if kind == "halves":  # every other range is short, the rest are long
+        a, b, m = QUERY_ENDS[0]
+        wide = F.when(F.col("qid") % 2 == 0, F.lit(HALVES[0])).otherwise(F.lit(HALVES[1]))
+        low = (F.col("qid") * a + b) % (m - wide)
+        return base.withColumns({"ql": low.cast("double"), "qr": (low + wide).cast("double")})
     if width is not None:
         a, b, m = QUERY_ENDS[0]
         low = hashed(F.col("qid"), (a, b, m - width)).cast("double")
@@ -81,6 +92,11 @@ def ranges(spark: SparkSession, n: int, kind: str = "uniform", width: int | None
     return base.withColumns({"ql": lo, "qr": hi})
 
 
+def per_row(n: int) -> int:
+    """Ranges of every query row: n queries are asked of a table of 500 objects, and in proportion of larger ones."""
+    return max(1, n * ASKED // 500)
+
+
 def life_ranges(spark: SparkSession, sf_dir: str, n: int) -> DataFrame:
     """Ranges of the lives of other customers: that of number qid * 37 + 11 among those that have one."""
     life = table(spark, sf_dir, "orders").groupBy("o_custkey").agg(*[f(F.date_diff("o_orderdate", F.lit("1995-01-01").cast("date"))).cast("double").alias(c) for f, c in ((F.min, "ql"), (F.max, "qr"))])
@@ -88,11 +104,15 @@ def life_ranges(spark: SparkSession, sf_dir: str, n: int) -> DataFrame:
 
 
 def queries(spark: SparkSession, sf_dir: str, mode: str, n: int = 200, k: int = 10, kind: str = "uniform", width: int | None = None) -> DataFrame:
-    """(qid, qvec, ql, qr, k, mode): the vector is the mean of two objects' vectors."""
+    """(qid, qvec, ql, qr, k, mode): every row whose id is divisible by ASKED, with ``per_row(n)`` ranges each.
+
+    The vector is the mean of the row's and another object's.
+    """
     base = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
-    total = base.count()
-    q = ranges(spark, n, kind, width).withColumns({"i": F.col("qid") % total, "j": (F.col("qid") * PARTNER[0] + PARTNER[1]) % total})
-    both = q.join(base.select(F.col("vec_id").alias("i"), F.col("embedding").alias("u")), "i").join(base.select(F.col("vec_id").alias("j"), F.col("embedding").alias("v")), "j")
+    total, per = base.count(), per_row(n)
+    asked = base.where(F.col("vec_id") % ASKED == 0).select("vec_id", F.col("embedding").alias("u"), F.explode(F.sequence(F.lit(0), F.lit(per - 1))).alias("r"))
+    q = with_ranges(asked.withColumn("qid", F.col("vec_id") * per + F.col("r")), kind, width).withColumn("j", (F.col("qid") * PARTNER[0] + PARTNER[1]) % total)
+    both = q.join(base.select(F.col("vec_id").alias("j"), F.col("embedding").alias("v")), "j")
     mean = F.zip_with("u", "v", lambda x, y: (x.cast("double") + y.cast("double")) / 2)
     return both.select("qid", mean.alias("qvec"), "ql", "qr", F.lit(k).alias("k"), F.lit(mode).alias("mode"))
 

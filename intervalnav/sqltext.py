@@ -21,19 +21,24 @@ def below(objects: str, n: int) -> str:
     return f"SELECT * FROM ({objects}) WHERE id < {n}"
 
 
-def ranges(n: int, kind: str = "uniform", width: int | None = None) -> str:
-    base = f"FROM range({n}) t(qid)"
+def ranges(n: int, kind: str = "uniform", width: int | None = None, base: str | None = None) -> str:
+    base = base or f"FROM range({n}) t(qid)"
     if kind == "stab":
         return f"SELECT qid, ((qid * 3571 + 911) % 10007)::DOUBLE AS ql, ((qid * 3571 + 911) % 10007)::DOUBLE AS qr {base}"
+    if kind == "halves":
+        wide = "(CASE WHEN qid % 2 = 0 THEN 1500 ELSE 6000 END)"
+        return f"SELECT qid, ((qid * 3571 + 911) % (10007 - {wide}))::DOUBLE AS ql, ((qid * 3571 + 911) % (10007 - {wide}) + {wide})::DOUBLE AS qr {base}"
     if width is not None:
         return f"SELECT qid, ((qid * 3571 + 911) % {10007 - width})::DOUBLE AS ql, ((qid * 3571 + 911) % {10007 - width} + {width})::DOUBLE AS qr {base}"
     return f"SELECT qid, least((qid * 3571 + 911) % 10007, (qid * 2909 + 4001) % 10009)::DOUBLE AS ql, greatest((qid * 3571 + 911) % 10007, (qid * 2909 + 4001) % 10009)::DOUBLE AS qr {base}"
 
 
 def queries(mode: str, n: int = 200, kind: str = "uniform", width: int | None = None) -> str:
+    per = max(1, n // 25)
+    asked = f"FROM (SELECT vec_id * {per} + r AS qid FROM embeddings, range({per}) x(r) WHERE vec_id % 20 = 0)"
     return f"""SELECT r.qid, list_transform(range(1, {DIM + 1}), lambda i: (u.embedding[i]::DOUBLE + v.embedding[i]::DOUBLE) / 2) AS qvec, ql, qr, '{mode}' AS mode
-      FROM ({ranges(n, kind, width)}) r, (SELECT count(*) AS total FROM embeddings)
-      JOIN embeddings u ON u.vec_id = r.qid % total JOIN embeddings v ON v.vec_id = (r.qid * 37 + 11) % total"""
+      FROM ({ranges(n, kind, width, asked)}) r, (SELECT count(*) AS total FROM embeddings)
+      JOIN embeddings u ON u.vec_id = r.qid // {per} JOIN embeddings v ON v.vec_id = (r.qid * 37 + 11) % total"""
 
 
 VALID = "(CASE mode WHEN 'within' THEN lo >= ql AND hi <= qr WHEN 'covers' THEN lo <= ql AND hi >= qr ELSE true END)"
