@@ -6,7 +6,9 @@ Arrow batch, and treat a null text as an empty one.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import contextlib
+import ctypes
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -22,7 +24,7 @@ _INVERSE = pow(_BASE, -1, 2**64)
 _powers: dict[str, np.ndarray] = {}
 
 
-def blocks(batch: pa.RecordBatch, column: str, limit: int = 2 << 20) -> Iterator[pa.RecordBatch]:
+def blocks(batch: pa.RecordBatch, column: str, limit: int = 1 << 19) -> Iterator[pa.RecordBatch]:
     """Slices of the batch holding about ``limit`` bytes of ``column``, one row at the least."""
     data, offs = string_buffers(batch.column(column))
     at = 0
@@ -33,6 +35,18 @@ def blocks(batch: pa.RecordBatch, column: str, limit: int = 2 << 20) -> Iterator
         at = end
 
 
+def lean(run: Callable) -> Callable:
+    """``run`` over a task's batches, after which the worker, which is used again, gives back what it holds no more."""
+
+    def task(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from run(batches)
+        pa.default_memory_pool().release_unused()
+        with contextlib.suppress(OSError, AttributeError):  # other C libraries have no such call
+            ctypes.CDLL("libc.so.6").malloc_trim(0)
+
+    return task
+
+
 def string_buffers(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     """Bytes and offsets (n + 1) of a string column; nulls are empty."""
     if isinstance(column, pa.ChunkedArray):

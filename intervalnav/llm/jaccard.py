@@ -35,7 +35,7 @@ from .components import connected
 STEP = 64
 SEGMENTED = 80  # least percentage that finds its candidates by segments
 SAMPLED, COMMON = 2_000_000, 200_000  # n-grams that are counted for the order of rarity, and those it keeps
-MINOR, MAJOR = 128, 384  # sets in a block of the last comparison
+MINOR, MAJOR = 64, 192  # sets in a block of the last comparison
 _SALT = np.uint64(0x5851F42D4C957F2D)
 
 
@@ -271,7 +271,7 @@ def _compare(groups: DataFrame, keys: list[str], n: int, percent: int) -> DataFr
         if ids:
             yield _pairs(solve(ids, texts))
 
-    return dealt.mapInArrow(run, "u long, v long")
+    return dealt.mapInArrow(at.lean(run), "u long, v long")
 
 
 def _pairs(found: list[tuple[int, int]]) -> pa.RecordBatch:
@@ -360,7 +360,7 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
                 cut = [raw[8 * a : 8 * b] for a, b in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)]
                 yield pa.RecordBatch.from_arrays([pa.array(set_ids(code, offs)), pa.array(cut, pa.binary())], names=["s", "members"])
 
-    meta = written(source.mapInArrow(describe, "doc_id long, n long, s long"), "sets-meta")
+    meta = written(source.mapInArrow(at.lean(describe), "doc_id long, n long, s long"), "sets-meta")
     segmented = percent >= SEGMENTED
     common = None
     if not segmented:
@@ -382,7 +382,7 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
                 keep = first[owner]
                 yield pa.RecordBatch.from_arrays([pa.array(sigs[keep].view(np.int64)), pa.array(ids[owner[keep]])], names=["sig", "s"])
 
-    signed = source.mapInArrow(sign, "sig long, s long")
+    signed = source.mapInArrow(at.lean(sign), "sig long, s long")
     # One shuffle of the keys: those that only one set has go where they arrive. Sets of one key are alike (or share a
     # rare n-gram), so a key has few next to a task's keys.
     by_sig = Window.partitionBy("sig")
@@ -403,7 +403,7 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
     firsts = meta.where("n > 0").groupBy("s").agg(F.min("doc_id").alias("doc_id"))
     wanted = written(firsts.join(clusters, "s", "left_semi").select("s", "doc_id"), "sets-wanted")
     texts = _of(source, wanted.select("doc_id")).select("t")
-    stored = written(texts.mapInArrow(named, "s long, t string"), "sets-texts")
+    stored = written(texts.mapInArrow(at.lean(named), "s long, t string"), "sets-texts")
 
     # First comparison: every set with the pivot that it shares most segments with, in blocks.
     best = votes.groupBy("s").agg(F.max_by("p", F.struct("c", -F.col("p"))).alias("p"))

@@ -106,7 +106,7 @@ def learn(labelled: DataFrame, text: str = "text", lang: str = "lang", key: str
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in at.blocks(batch, "t", 8 << 20):
+            for part in at.blocks(batch, "t", 2 << 20):
                 codes, owner = grams(part.column("t"), orders)
                 lang_of = part.column("n").to_numpy()[owner]
                 order = np.lexsort((codes, lang_of))
@@ -117,7 +117,7 @@ def learn(labelled: DataFrame, text: str = "text", lang: str = "lang", key: str
                 n = np.diff(np.append(where, len(codes)))
                 yield pa.RecordBatch.from_arrays([pa.array(lang_of[where].astype(np.int32)), pa.array(codes[where].view(np.int64)), pa.array(n)], ["n", "g", "c"])
 
-    counted = sample.select(number[F.col("l")].cast("int").alias("n"), "t").mapInArrow(count, "n int, g long, c long").groupBy("n", "g").agg(F.sum("c").alias("c"))
+    counted = sample.select(number[F.col("l")].cast("int").alias("n"), "t").mapInArrow(at.lean(count), "n int, g long, c long").groupBy("n", "g").agg(F.sum("c").alias("c"))
     totals = F.broadcast(counted.groupBy("n").agg(F.sum("c").alias("total")))  # a row for each language
     rated = counted.join(totals, "n").withColumn("rate", F.col("c") / F.col("total"))
     # An n-gram is a language's own if frequent enough there next to the language that has it most.
@@ -176,8 +176,8 @@ def identify(docs: DataFrame, model: Model, text: str = "text", keep: tuple[str,
         m = shared.value
         names = np.array([*m.languages, "und"], object)
         for batch in batches:
-            for part in at.blocks(batch, "__text", 1 << 20):
+            for part in at.blocks(batch, "__text", 1 << 18):
                 best, score, known = judge(m, part.column("__text"))
                 yield pa.RecordBatch.from_arrays([*part.columns[:-1], pa.array(names[best].tolist(), pa.string()), pa.array(score), pa.array(known)], names=[*keep, "lang_pred", "score", "known_share"])
 
-    return source.mapInArrow(run, schema)
+    return source.mapInArrow(at.lean(run), schema)

@@ -30,7 +30,7 @@ class WordTokens:
     """Ids of the words of a text, with a bounded memory of words already tokenised.
 
     The tokenizer drops white space and never joins two words, so a text's ids are those of its words.
-    Characters that the normaliser could join over a space (combining marks) send the row to ``whole``.
+    Words are known by 64-bit hashes.
     """
 
     def __init__(self, path: str):
@@ -99,7 +99,7 @@ def pieces(docs: DataFrame, tokenizer: str, capacity: int, key: str = "doc_id",
                     out.extend((doc, i, s, min(capacity, len(ids) - s), zlib.crc32(ids[s : s + capacity].tobytes())) for i, s in enumerate(range(0, len(ids), capacity)))
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()), strict=True)], names=["doc_id", "piece", "start", "length", "ids_crc32"])
 
-    return source.mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long")
+    return source.mapInArrow(at.lean(run), "doc_id long, piece int, start long, length long, ids_crc32 long")
 
 
 def fill(counts: np.ndarray, largest: int, capacity: int, allowed: int = 0, nodes: int = NODES) -> list[int]:
