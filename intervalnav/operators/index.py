@@ -98,6 +98,9 @@ def search(packed: DataFrame, queries: DataFrame, ef: int, method: Method | None
     shards = packed.select("shard").count()
     share = max(1, packed.sparkSession.sparkContext.defaultParallelism // max(1, shards))
     for block in exact._blocks_of(queries):
+        for r in block:
+            if r["ql"] > r["qr"]:
+                raise ValueError(f"query {r['qid']}: its range is inverted")
         shared = packed.sparkSession.sparkContext.broadcast([(r["qid"], np.array(r["qvec"], np.float64), r["ql"], r["qr"], r["k"], r["mode"]) for r in block])
 
         def answer(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
@@ -107,8 +110,6 @@ def search(packed: DataFrame, queries: DataFrame, ef: int, method: Method | None
                     s, data = _load(b.pop("blob"))
                     out: list[tuple] = []
                     for qid, q, ql, qr, k, mode in shared.value[b["part"] :: share]:
-                        if ql > qr:
-                            raise ValueError(f"query {qid}: its range is inverted")
                         if mode == "within" and (b["lo_max"] < ql or b["hi_min"] > qr) or mode == "covers" and (b["lo_min"] > ql or b["hi_max"] < qr):
                             continue
                         got, cost = method.search(s, data, Query(q, ql, qr, k, mode, ef))
