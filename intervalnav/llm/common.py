@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import contextlib
+import gc
 import uuid
 from collections.abc import Iterator
 
@@ -48,6 +49,13 @@ def release(spark: SparkSession, paths: list[str] | None = None) -> None:
             _written.remove(path)
 
 
+def swept(spark: SparkSession) -> None:
+    """Has Spark delete the shuffle files of finished steps: it does so once their frames are garbage in the driver,
+    which otherwise may be found half an hour later."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 @contextlib.contextmanager
 def tables_made() -> Iterator[list[str]]:
     """Collects the paths of the tables that ``written`` makes meanwhile."""

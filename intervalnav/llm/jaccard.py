@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import arrowtext as at
-from .common import checkpointed, marked, written
+from .common import checkpointed, marked, swept, written
 from .components import connected
 
 STEP = 64
@@ -280,12 +280,13 @@ def _pairs(found: list[tuple[int, int]]) -> pa.RecordBatch:
 
 
 def _of(source: DataFrame, wanted: DataFrame) -> DataFrame:
-    """The rows whose doc_id is wanted, repeated ones once; most others stay out of the shuffle."""
-    likely = marked(source, "doc_id", wanted).where("__marked").drop("__marked")
+    """The texts (t) whose doc_id is wanted, those of repeated rows once; most others stay out of the shuffle."""
+    likely = marked(source, "doc_id", wanted).where("__marked")
+    # The keys of an equality that holds for nulls, as columns, so that texts are dealt out once for join and groups.
+    id_, absent = F.coalesce("doc_id", F.lit(0)).alias("id"), F.isnull("doc_id").alias("absent")
     # An inner join, since the optimiser would put a semi join below the filter.
-    own = wanted.select(F.col("doc_id").alias("wanted")).distinct()
-    met = likely.join(own.hint("merge"), F.col("doc_id").eqNullSafe(F.col("wanted"))).drop("wanted")
-    return met.groupBy("doc_id", F.xxhash64("t").alias("x")).agg(F.first("t").alias("t")).drop("x")
+    met = likely.select(id_, absent, "t").join(wanted.select(id_, absent).distinct().hint("merge"), ["id", "absent"])
+    return met.groupBy("id", "absent", F.xxhash64("t").alias("x")).agg(F.first("t").alias("t")).select("t")
 
 
 def _common(sets: DataFrame) -> tuple[np.ndarray, np.ndarray]:
@@ -391,6 +392,7 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
         held = written(held.distinct(), "sets-held")
     votes = held.where("s != p").groupBy("p", "s").agg(F.count("*").alias("c"))
     votes = written(votes, "sets-votes")
+    swept(docs.sparkSession)  # the keys are the largest shuffle
     cluster = connected(votes.select(F.col("p").alias("u"), F.col("s").alias("v")))
     clusters = written(cluster.select(F.col("u").alias("s"), "root").union(cluster.select(F.col("root").alias("s"), "root").distinct()), "sets-clusters")
 
@@ -402,8 +404,9 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
 
     firsts = meta.where("n > 0").groupBy("s").agg(F.min("doc_id").alias("doc_id"))
     wanted = written(firsts.join(clusters, "s", "left_semi").select("s", "doc_id"), "sets-wanted")
-    texts = _of(source, wanted.select("doc_id")).select("t")
+    texts = _of(source, wanted.select("doc_id"))
     stored = written(texts.mapInArrow(at.lean(named), "s long, t string"), "sets-texts")
+    swept(docs.sparkSession)
 
     # First comparison: every set with the pivot that it shares most segments with, in blocks.
     best = votes.groupBy("s").agg(F.max_by("p", F.struct("c", -F.col("p"))).alias("p"))
@@ -413,6 +416,7 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
     dealt = dealt.join(sizes, "p").withColumn("b", F.when(F.col("k") <= MAJOR, F.lit(0)).otherwise(F.col("b"))).select("p", "b", "s")
     dealt = dealt.union(dealt.select("p", "b", F.col("p").alias("s")).distinct())
     links = written(_compare(dealt.join(stored, "s"), ["p", "b"], n, percent), "sets-links")
+    swept(docs.sparkSession)
     label = connected(links)
     if segmented:
         more = _in_clusters(clusters, label, stored, n, percent)
@@ -420,6 +424,7 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
         sizes = meta.where("n > 0").groupBy("s").agg(F.first("n").alias("n")).join(wanted.select("s"), "s")
         more = _in_keys(held, label, sizes, stored, n, percent)
     final = connected(written(links.union(more), "sets-all-links"))
+    swept(docs.sparkSession)
 
     by_set = firsts.withColumnRenamed("doc_id", "first").join(final.withColumnRenamed("u", "s"), "s", "left").withColumn("root", F.coalesce("root", "s"))
     least = by_set.groupBy("root").agg(F.min("first").alias("component_id"))
