@@ -2,7 +2,7 @@
 
 Null and letterless texts go with the first stage; every later stage takes what the operators' docstrings
 define for nulls, empty texts, ties and repeated rows. Tables that a stage's operator leaves in the shared
-folder are deleted when the next stage begins, since by then its result has been written.
+folder, and shuffle files, are deleted when the next stage begins, since by then its result has been written.
 """
 
 from __future__ import annotations
@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from intervalnav.llm import jaccard, langid, linededup
-from intervalnav.llm.common import release, tables_made, without, written
+from intervalnav.llm.common import release, swept, tables_made, without, written
 from intervalnav.llm.queries_langid import held_out
 from intervalnav.llm.queries_packing import packed
 
@@ -27,6 +27,7 @@ _left: list[str] = []
 def _stage(work):
     def run(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
         release(spark, _left)
+        swept(spark)
         with tables_made() as paths:
             out = work(spark, docs, sf_dir)
         _left[:] = paths
