@@ -190,7 +190,7 @@ class Coder:
         self.pieces = regex.compile(pattern)
         self.known: dict[str, str] = {}
         self.old: dict[str, str] = {}
-        self.moves: dict[tuple, dict[str, tuple[str, tuple]]] = {}  # of the UTF-8 machine: by its state and the decimal id
+        self.moves: dict[tuple, dict] = {}  # of the UTF-8 machine, by state: decimal id to characters and the next moves; "" to the state
 
     def encode(self, text: str) -> str:
         """Decimal ids joined by spaces."""
@@ -208,23 +208,24 @@ class Coder:
                 known[piece] = self.old.get(piece) or " ".join(map(str, self.transducer.encode(piece.encode())))
         return " ".join([known[p] for p in found])
 
-    def _move(self, state: tuple, token: str) -> tuple[str, tuple]:
-        machine = Utf8Machine(state)
-        made = self.moves.setdefault(state, {})[token] = machine.feed(self.transducer.bytes_of[int(token)]), machine.state()
+    def _moves(self, state: tuple) -> dict:
+        return self.moves.setdefault(state, {"": state})
+
+    def _move(self, moves: dict, token: str) -> tuple[str, dict]:
+        machine = Utf8Machine(moves[""])
+        text = machine.feed(self.transducer.bytes_of[int(token)])
+        moves[token] = made = text, self._moves(machine.state())
         return made
 
     def decode(self, ids: Iterable[str]) -> Iterator[str]:
         """Characters of the decimal ids, in a stream; what the machine does with a token in a state is done once."""
-        state = Utf8Machine().state()
         if sum(map(len, self.moves.values())) > STATES:
             self.moves.clear()
-        moves = self.moves.setdefault(state, {})
+        moves = self._moves(Utf8Machine().state())
         for i in ids:
-            text, after = moves.get(i) or self._move(state, i)
+            text, moves = moves.get(i) or self._move(moves, i)
             yield text
-            if after != state:
-                state, moves = after, self.moves.setdefault(after, {})
-        yield Utf8Machine(state).finish()
+        yield Utf8Machine(moves[""]).finish()
 
     def decode_all(self, joined: str) -> str:
         return "".join(self.decode(joined.split(" ") if joined else []))
