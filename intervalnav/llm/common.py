@@ -23,9 +23,25 @@ def shared_folder(spark: SparkSession) -> str:
 
 BITMAP = 1 << 19  # words of 64 bits: the bound of a key filter
 
+FREED = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
 _written: list[str] = []
 
 
+@contextlib.contextmanager
+def shuffles_freed(spark: SparkSession) -> Iterator[None]:
+    """Spark deletes the shuffle files of an action begun meanwhile when it ends; a setting of running sessions.
+
+    For actions on frames that are not run again: what follows reads the written result.
+    """
+    before = spark.conf.get(FREED, None)
+    spark.conf.set(FREED, "true")
+    try:
+        yield
+    finally:
+        spark.conf.unset(FREED) if before is None else spark.conf.set(FREED, before)
+
+
 def written(df: DataFrame, name: str) -> DataFrame:
     """The frame written once as Parquet in the shared folder and read back: lineage ends here.
 
@@ -33,7 +49,8 @@ def written(df: DataFrame, name: str) -> DataFrame:
     """
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    with shuffles_freed(spark):
+        df.write.parquet(path)
     _written.append(path)
     return spark.read.schema(df.schema).parquet(path)
 
@@ -50,8 +67,8 @@ def release(spark: SparkSession, paths: list[str] | None = None) -> None:
 
 
 def swept(spark: SparkSession) -> None:
-    """Has Spark delete the shuffle files of finished steps: it does so once their frames are garbage in the driver,
-    which otherwise may be found half an hour later."""
+    """Has Spark delete checkpoints and other files of finished steps: it does so once their frames are garbage in the
+    driver, which otherwise may be found half an hour later."""
     gc.collect()
     spark.sparkContext._jvm.System.gc()
 
@@ -101,7 +118,8 @@ def checkpointed(df: DataFrame) -> DataFrame:
     context = df.sparkSession.sparkContext
     if not context._jsc.sc().getCheckpointDir().isDefined():
         context.setCheckpointDir(shared_folder(df.sparkSession))
-    return df.checkpoint()
+    with shuffles_freed(df.sparkSession):
+        return df.select("*").checkpoint()  # a frame made here, so that the setting holds for it
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
