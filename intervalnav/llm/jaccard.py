@@ -6,12 +6,12 @@
    are made for classes of sizes, and a set also takes part in the next class if it may link there. A set with
    more than e empty segments also takes part in further divisions of its class, until it has fewer; so two
    sets that agree only in empty segments meet in a later division.
-3. Sets that share a segment, directly or through others, form a cluster; links lie within clusters.
+3. Sets that share a segment with another one are candidates; two sets that link share one.
 4. Sets are compared in prefix trees: the sorted sets of a group are stored in a trie with edges of
    ``STEP`` n-grams; a probe walks all live nodes of a level at once, each node's overlap is computed once for
    all sets below it, and a subtree ends where what is left of the probe and of its sets cannot reach the
-   needed overlap. First every set meets its best pivot, in blocks; then, in clusters that are not yet one
-   component, the sets outside the largest component meet all others, in blocks of bounded size.
+   needed overlap. First every set meets its best pivot, in blocks; then, where the sets of one segment are not yet
+   one component, those outside the segment's largest component meet its others, in blocks of bounded size.
 
 Defined cases: a null, empty or blank text has the empty set and links with nothing; a text with fewer words
 than n has its whole word sequence as its one n-gram; repeated rows of one id share their component; columns
@@ -29,13 +29,13 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import arrowtext as at
-from .common import checkpointed, marked, swept, written
+from .common import marked, swept, written
 from .components import connected
 
 STEP = 64
 SEGMENTED = 80  # least percentage that finds its candidates by segments
 SAMPLED, COMMON = 2_000_000, 200_000  # n-grams that are counted for the order of rarity, and those it keeps
-MINOR, MAJOR = 64, 192  # sets in a block of the last comparison
+MINOR, MAJOR = 64, 192  # sets that one set meets in a block of the last comparison, sets in a block of the first
 _SALT = np.uint64(0x5851F42D4C957F2D)
 
 
@@ -303,26 +303,6 @@ def _common(sets: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     return h[order], c[order]
 
 
-def _in_clusters(clusters: DataFrame, label: DataFrame, stored: DataFrame, n: int, percent: int) -> DataFrame:
-    """Links in clusters of several components, from all sets outside the largest one to all others."""
-    labels = checkpointed(clusters.join(label.select(F.col("u").alias("s"), F.col("root").alias("label")), "s", "left").withColumn("label", F.coalesce("label", "s")))
-
-    # Last comparison: in clusters of several components, all sets outside the largest one with all others.
-    parts = labels.groupBy("root", "label").agg(F.count("*").alias("k"))
-    most = parts.groupBy("root").agg(F.max_by("label", F.struct("k", -F.col("label"))).alias("major"), F.count("*").alias("parts"), F.sum("k").alias("all"), F.max("k").alias("most")).where("parts > 1")
-    open_ = labels.join(most, "root").withColumn("minors", F.ceil((F.col("all") - F.col("most")) / MINOR)).withColumn("majors", F.ceil(F.col("most") / MAJOR))
-    h = F.pmod(F.xxhash64("s", F.lit(7)), F.lit(1 << 30))
-    to_all = lambda count: F.sequence(F.lit(0).cast("long"), count - 1)
-    minor = open_.where("label != major").withColumn("a", h % F.col("minors"))
-    major = open_.where("label = major").withColumn("b", h % F.col("majors"))
-    tasks = (
-        minor.select("root", "s", "a", F.explode(to_all(F.col("majors"))).alias("b"))
-        .union(major.select("root", "s", F.explode(to_all(F.col("minors"))).alias("a"), "b"))
-        .union(minor.where("minors > 1").select("root", "s", F.explode(F.transform(F.filter(to_all(F.col("minors")), lambda o: o != F.col("a")), lambda o: F.struct(F.least("a", o).alias("a"), (-1 - F.greatest("a", o)).alias("b")))).alias("k"), ).select("root", "s", "k.a", "k.b"))
-    )
-    return _compare(tasks.join(stored, "s"), ["root", "a", "b"], n, percent)
-
-
 def _in_keys(held: DataFrame, label: DataFrame, sizes: DataFrame, stored: DataFrame, n: int, percent: int) -> DataFrame:
     """Links between sets of different components that share a key (sig, s), in blocks of one set with some others."""
     known = sizes.join(label.select(F.col("u").alias("s"), "root"), "s", "left").withColumn("root", F.coalesce("root", "s"))
@@ -336,7 +316,7 @@ def _in_keys(held: DataFrame, label: DataFrame, sizes: DataFrame, stored: DataFr
     pairs = left.join(right, "sig").where((F.col("r1") != F.col("r2")) & (F.col("outer") | (F.col("u") < F.col("v"))))
     pairs = pairs.where(100 * F.least("n1", "n2") >= percent * F.greatest("n1", "n2")).select("u", "v").distinct()
     pairs = written(pairs, "sets-pairs")
-    blocks = pairs.groupBy("u").agg(F.ceil(F.count("*") / MAJOR).alias("blocks"))
+    blocks = pairs.groupBy("u").agg(F.ceil(F.count("*") / MINOR).alias("blocks"))
     dealt = pairs.join(blocks, "u").select("u", F.pmod(F.xxhash64("v", F.lit(7)), F.col("blocks")).alias("b"), F.col("v").alias("s"))
     dealt = dealt.union(dealt.select("u", "b", F.col("u").alias("s")).distinct())
     return _compare(dealt.join(stored, "s"), ["u", "b"], n, percent)
@@ -388,8 +368,7 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
     # rare n-gram), so a key has few next to a task's keys.
     by_sig = Window.partitionBy("sig")
     held = signed.withColumns({"p": F.min("s").over(by_sig), "q": F.max("s").over(by_sig)}).where("p != q").select("sig", "s", "p")
-    if not segmented:
-        held = written(held.distinct(), "sets-held")
+    held = written(held.distinct(), "sets-held")
     votes = held.where("s != p").groupBy("p", "s").agg(F.count("*").alias("c"))
     votes = written(votes, "sets-votes")
     swept(docs.sparkSession)  # the keys are the largest shuffle
@@ -418,11 +397,8 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
     links = written(_compare(dealt.join(stored, "s"), ["p", "b"], n, percent), "sets-links")
     swept(docs.sparkSession)
     label = connected(links)
-    if segmented:
-        more = _in_clusters(clusters, label, stored, n, percent)
-    else:
-        sizes = meta.where("n > 0").groupBy("s").agg(F.first("n").alias("n")).join(wanted.select("s"), "s")
-        more = _in_keys(held, label, sizes, stored, n, percent)
+    sizes = meta.where("n > 0").groupBy("s").agg(F.first("n").alias("n")).join(wanted.select("s"), "s")
+    more = _in_keys(held, label, sizes, stored, n, percent)
     final = connected(written(links.union(more), "sets-all-links"))
     swept(docs.sparkSession)
 
