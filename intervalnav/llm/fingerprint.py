@@ -38,11 +38,22 @@ def shingles(text: Column, words: int) -> Column:
     return F.when(F.trim(text, F.lit(" \t\n\v\f\r")) != "", once).otherwise(F.array().cast("array<long>"))
 
 
+def placed(log_a: Column) -> Column:
+    """The logarithm of a value as a whole number, by which candidates are ordered."""
+    return ((log_a + F.lit(64.0)) * F.lit(float(1 << 24))).cast("long")
+
+
+def reach(whole: Column) -> Column:
+    """The rank that a sample must be below, by its own bag's size alone: no candidate below it is left out by ``sample``."""
+    return placed(F.ln(F.lit(REACH) / whole))
+
+
 def sample(term: Column, weight: Column, whole: Column, number: Column) -> Column:
     """A term's candidate for a sample: a long that orders by the value and ends in 32 bits that name term and level.
 
     The least value of a bag of weight ``whole`` is over REACH / whole once in exp(REACH) samples. A value is at least
-    (1 - u3 u4) u1 u2 / weight in the uniform numbers, so most candidates are known to lose (null) without a logarithm.
+    -ln(u3 u4) u1 u2 / weight in the uniform numbers, and with r = sqrt(u3 u4) that logarithm is at least
+    4 (1 - r) / (1 + r), so most candidates are known to lose (null) without one.
     """
     one, two = F.xxhash64(term, number), F.xxhash64(number, term)  # the second one is needed by few candidates
 
@@ -53,39 +64,67 @@ def sample(term: Column, weight: Column, whole: Column, number: Column) -> Colum
     gamma, log_c = -F.ln(u12), F.ln(-F.ln(u34))
     level = F.floor(F.ln(weight) / gamma + shift)
     log_a = log_c - gamma * (level - shift + F.lit(1.0))  # between -64 and 4: the uniform numbers are 2 ** -17 at least
-    rank = ((log_a + F.lit(64.0)) * F.lit(float(1 << 24))).cast("long")
+    rank = placed(log_a)
     name = two.bitwiseXOR(F.shiftleft(level, 13)).bitwiseAND(F.lit((1 << 32) - 1))
-    return F.when((F.lit(1.0) - u34) * u12 * whole <= weight * REACH, F.shiftleft(rank, 32).bitwiseOR(name))
+    root = F.sqrt(u34)
+    return F.when((F.lit(1.0) - root) * u12 * whole <= weight * (REACH / 4) * (F.lit(1.0) + root), F.shiftleft(rank, 32).bitwiseOR(name))
+
 
+def fingerprints(texts: DataFrame, keys: list[str], text: str = "text", words: int = 5, repeats: int = 64, slots: int = 1, carried: tuple[str, ...] = (), second: str | None = None) -> DataFrame:
+    """keys, carried (columns of longs) and the fingerprint of ``repeats * slots`` samples; rows of equal keys are one bag.
 
-def fingerprints(texts: DataFrame, keys: list[str], text: str = "text", words: int = 5, repeats: int = 64, slots: int = 1, carried: tuple[str, ...] = ()) -> DataFrame:
-    """keys, carried (columns of longs) and the fingerprint of ``repeats * slots`` samples; rows of equal keys are one bag."""
+    With ``second``, a text that shares most of its shingles with the first, also its ``second_fingerprint``: what both
+    bags have with one weight is drawn once for the two.
+    """
     # Carried values go before the terms, so that a row of the bag is only keys, a place and a number.
-    first, count = len(carried) + 2, repeats * slots
-    bag = texts.select(*keys, *carried, shingles(F.col(text), words).alias("bag_")).withColumn("size_", F.size("bag_").cast("long"))
-    listed = F.concat(F.array(F.lit(0).cast("long"), *[F.col(c) for c in carried], F.lit(0).cast("long")), F.col("bag_"))
-    terms = bag.select(*keys, "size_", F.posexplode(listed).alias("place_", "term_")).withColumn("place_", F.least("place_", F.lit(first)))
-    bags = terms.groupBy(*keys, "size_", "place_", "term_").agg(F.count("*").cast("double").alias("w_"))
+    names = ("fingerprint", "second_fingerprint")[: 1 if second is None else 2]
+    sides, first, count = range(len(names)), len(carried) + 2, repeats * slots
+    bag = texts.select(*keys, *carried, *[shingles(F.col(c), words).alias(f"bag{i}_") for i, c in zip(sides, (text, second), strict=False)])
+    sizes = [F.size(f"bag{i}_").cast("long").alias(f"size{i}_") for i in sides]
+    bag = bag.withColumns({f"size{i}_": c for i, c in enumerate(sizes)})
+    listed = F.concat(F.array(F.lit(0).cast("long"), *[F.col(c) for c in carried], F.lit(0).cast("long")), *[F.col(f"bag{i}_") for i in sides])
+    whole = [f"size{i}_" for i in sides]
+    terms = bag.select(*keys, *whole, F.posexplode(listed).alias("at_", "term_"))
+    of_second = F.col("at_") >= F.col("size0_") + first
+    number = lambda c: F.sum(F.when(c, F.lit(1)).otherwise(F.lit(0)))
+    terms = terms.withColumns({"place_": F.least("at_", F.lit(first)), "second_": of_second}).drop("at_")
+    bags = terms.groupBy(*keys, *whole, "place_", "term_").agg(number(~F.col("second_")).alias("n0_"), number(F.col("second_")).alias("n1_"))
+    # Side 0 and 1: a weight in one of the bags; side 2: one weight in both.
+    pair = F.when(F.col("n0_") == F.col("n1_"), F.array(F.struct(F.lit(2).alias("side_"), F.col("n0_").cast("double").alias("w_"))))
+    lone = lambda i: F.struct(F.lit(i).alias("side_"), F.col(f"n{i}_").cast("double").alias("w_"))
+    apart = F.when(F.col("n1_") == 0, F.array(lone(0))).when(F.col("n0_") == 0, F.array(lone(1))).otherwise(F.array(lone(0), lone(1)))
+    bags = bags.select(*keys, *whole, "place_", "term_", F.inline(F.coalesce(pair, apart)))
     # Other rows than terms have no weight and lose. A row takes part in groups of samples: the code of all at once is too long to be compiled.
     weight = F.when(F.col("place_") == first, F.col("w_")).otherwise(F.lit(0.0))
     groups = -(-count // GROUP)
-    drawn = bags.select(*keys, "place_", "term_", weight.alias("w_"), F.coalesce("term_", F.lit(0).cast("long")).alias("hash_"), F.greatest("size_", F.lit(1)).cast("double").alias("whole_"), F.explode(F.sequence(F.lit(0), F.lit(groups - 1))).alias("g_"))
-    drawn = drawn.groupBy(*keys, "g_").agg(
+    least = F.greatest(F.least(*whole) if second is not None else F.col("size0_"), F.lit(1)).cast("double")  # of what both bags have, none is left out for the other's size
+    drawn = bags.select(*keys, *whole, "place_", "term_", "side_", weight.alias("w_"), F.coalesce("term_", F.lit(0).cast("long")).alias("hash_"), least.alias("whole_"), F.explode(F.sequence(F.lit(0), F.lit(groups - 1))).alias("g_"))
+    drawn = drawn.groupBy(*keys, *whole, "side_", "g_").agg(
         *[F.max(F.when(F.col("place_") == i + 1, F.col("term_"))).alias(c) for i, c in enumerate(carried)],
         *[F.min(sample(F.col("hash_"), F.col("w_"), F.col("whole_"), F.col("g_") * GROUP + j)).alias(f"v{j}") for j in range(GROUP)],
     )
-    digits = [F.lpad(F.lower(F.hex(F.coalesce(F.col(f"v{j}").bitwiseAND(F.lit((1 << 32) - 1)) % 65535 + 1, F.lit(0)))), 4, "0") for j in range(GROUP)]
-    part = drawn.select(*keys, *carried, "g_", F.concat(*digits).alias("d_"))
-    whole = part.groupBy(*keys).agg(*[F.max(c).alias(c) for c in carried], *[F.max(F.when(F.col("g_") == g, F.col("d_"))).alias(f"g{g}") for g in range(groups)])
-    return whole.select(*keys, *carried, F.substring(F.concat(*[F.col(f"g{g}") for g in range(groups)]), 1, 4 * count).alias("fingerprint"))
+    parts = drawn.groupBy(*keys, "g_").agg(
+        *[F.max(c).alias(c) for c in (*carried, *whole)],
+        *[F.min(F.when(F.col("side_") != 1 - i, F.col(f"v{j}"))).alias(f"v{i}_{j}") for i in sides for j in range(GROUP)],
+    )
+
+    def digits(i: int, j: int) -> Column:
+        v, size = F.col(f"v{i}_{j}"), F.greatest(f"size{i}_", F.lit(1)).cast("double")
+        low = F.when(F.shiftright(v, 32) < reach(size), v.bitwiseAND(F.lit((1 << 32) - 1)) % 65535 + 1)
+        return F.lpad(F.lower(F.hex(F.coalesce(low, F.lit(0)))), 4, "0")
+
+    part = parts.select(*keys, *carried, "g_", *[F.concat(*[digits(i, j) for j in range(GROUP)]).alias(f"d{i}_") for i in sides])
+    made = part.groupBy(*keys).agg(*[F.max(c).alias(c) for c in carried], *[F.max(F.when(F.col("g_") == g, F.col(f"d{i}_"))).alias(f"g{i}_{g}") for i in sides for g in range(groups)])
+    return made.select(*keys, *carried, *[F.substring(F.concat(*[F.col(f"g{i}_{g}") for g in range(groups)]), 1, 4 * count).alias(n) for i, n in enumerate(names)])
 
 
 def likeness(a: Column, b: Column, size: int = 64) -> Column:
     """Share of equal places among those that are not empty in both; 1.0 if all are."""
     at_ = F.sequence(F.lit(1), F.lit(4 * size), F.lit(4))
-    used = F.filter(at_, lambda i: (F.substring(a, i, 4) != "0000") | (F.substring(b, i, 4) != "0000"))
-    same = F.filter(used, lambda i: F.substring(a, i, 4) == F.substring(b, i, 4))
-    return F.when(a == b, F.lit(1.0)).otherwise(F.size(same) / F.greatest(F.size(used), F.lit(1)))
+    used = F.size(F.filter(at_, lambda i: (F.substring(a, i, 4) != "0000") | (F.substring(b, i, 4) != "0000")))
+    both = F.size(F.filter(at_, lambda i: F.substring(a, i, 4) == F.substring(b, i, 4)))  # those that are empty in both among them
+    unlike = F.when(a.contains("0000") & b.contains("0000"), (both - F.lit(size) + used) / F.greatest(used, F.lit(1))).otherwise(both / F.lit(size))
+    return F.when(a == b, F.lit(1.0)).otherwise(unlike)
 
 
 def successors(keys: DataFrame, column: str) -> DataFrame:
@@ -130,10 +169,8 @@ def near(docs: DataFrame, key: str = "doc_id", text: str = "text", words: int =
     sha = F.sha2(F.encode("edited", "UTF-8"), 256)
     parts = [F.conv(F.substring("sha", 16 * i + 1, 16), 16, -10).cast("long").alias(f"sha{i}") for i in range(4)]  # signed
     one = base.withColumn("sha", sha).select("block", "place", "next", "doc_id", "n_chars", *parts, "text", "edited")
-    kinds = one.select(*[c for c in one.columns if c not in ("text", "edited")], F.inline(F.array(F.struct(F.lit(0).alias("kind"), F.col("text")), F.struct(F.lit(1).alias("kind"), F.col("edited").alias("text")))))
     carried = ("next", "doc_id", "n_chars", "sha0", "sha1", "sha2", "sha3")
-    made = fingerprints(kinds, ["block", "place", "kind"], "text", words, repeats, carried=carried)
-    both = made.groupBy("block", "place").agg(*[F.max(c).alias(c) for c in carried], *[F.max(F.when(F.col("kind") == i, F.col("fingerprint"))).alias(c) for i, c in enumerate(("fingerprint", "edited_fingerprint"))])
+    both = fingerprints(one, ["block", "place"], "text", words, repeats, carried=carried, second="edited").withColumnRenamed("second_fingerprint", "edited_fingerprint")
     digest = F.concat(*[F.lpad(F.lower(F.hex(f"sha{i}")), 16, "0") for i in range(4)])
     stored = written(both.withColumn("edited_sha256", digest).drop(*[f"sha{i}" for i in range(4)]), "fingerprints")
     heads = stored.where("place = 1").select(F.col("block").alias("next"), F.col("fingerprint").alias("head"))
