@@ -11,7 +11,7 @@
    ``STEP`` n-grams; a probe walks all live nodes of a level at once, each node's overlap is computed once for
    all sets below it, and a subtree ends where what is left of the probe and of its sets cannot reach the
    needed overlap. First every set meets its best pivot, in blocks; then, where the sets of one segment are not yet
-   one component, those outside the segment's largest component meet its others, in blocks of bounded size.
+   one component, they meet by tiles of sets with one best pivot, one tile against a block of others.
 
 Defined cases: a null, empty or blank text has the empty set and links with nothing; a text with fewer words
 than n has its whole word sequence as its one n-gram; repeated rows of one id share their component; columns
@@ -35,7 +35,7 @@ from .components import connected
 STEP = 64
 SEGMENTED = 80  # least percentage that finds its candidates by segments
 SAMPLED, COMMON = 2_000_000, 200_000  # n-grams that are counted for the order of rarity, and those it keeps
-MINOR, MAJOR = 64, 192  # sets that one set meets in a block of the last comparison, sets in a block of the first
+MINOR, MAJOR = 64, 192  # sets in a tile of the last comparison; in a block of the first, or that a tile meets at once
 _SALT = np.uint64(0x5851F42D4C957F2D)
 
 
@@ -243,33 +243,60 @@ def forest(ids: np.ndarray, sets: list[np.ndarray], percent: int) -> list[tuple[
     return out
 
 
-def _compare(groups: DataFrame, keys: list[str], n: int, percent: int) -> DataFrame:
-    """Links (u, v) found in every group of (s, t); groups are small, and two that share a hash do no harm."""
-    dealt = groups.select(F.xxhash64(*keys).alias("g"), "s", "t").repartition("g").sortWithinPartitions("g")
+def across(left: tuple[np.ndarray, list[np.ndarray]], right: tuple[np.ndarray, list[np.ndarray]], percent: int) -> list[tuple[int, int]]:
+    """Links between sets (ids, members) of two sides that connect all of them that are connected by links between the sides."""
+    sides, tries = (left, right), (Trie(left[1]), Trie(right[1]))
+    out: list[tuple[int, int]] = []
+    for root in range(len(left[0])):
+        if not tries[0].present[root]:
+            continue
+        tries[0].remove(root)
+        queue = [(0, root)]
+        while queue:
+            side, i = queue.pop()
+            if not tries[1 - side].present.any():
+                continue
+            for j in tries[1 - side].links(sides[side][1][i], percent).tolist():
+                tries[1 - side].remove(j)
+                out.append((int(sides[side][0][i]), int(sides[1 - side][0][j])))
+                queue.append((1 - side, j))
+    return out
+
+
+def _compare(groups: DataFrame, keys: list[str], n: int, percent: int, sides: bool = False) -> DataFrame:
+    """Links (u, v) found in every group of (s, t), or with ``sides`` between those of its two sides (s, side, t).
 
-    def solve(ids: list[np.ndarray], texts: list[pa.Array]) -> list[tuple[int, int]]:
-        own: dict[int, np.ndarray] = {}
-        for of, column in zip(ids, texts, strict=True):
+    Groups are small, and two that share a hash do no harm.
+    """
+    side = F.col("side") if sides else F.lit(0)
+    dealt = groups.select(F.xxhash64(*keys).alias("g"), "s", side.cast("int").alias("side"), "t").repartition("g").sortWithinPartitions("g")
+
+    def solve(ids: list[np.ndarray], of: list[np.ndarray], texts: list[pa.Array]) -> list[tuple[int, int]]:
+        own: tuple[dict[int, np.ndarray], dict[int, np.ndarray]] = ({}, {})
+        for i, at_side, column in zip(ids, of, texts, strict=True):
             code, offs = sets_of(column, n)
-            own.update(zip(of.tolist(), np.split(code, offs[1:-1]), strict=True))
-        return forest(np.array(list(own)), list(own.values()), percent)
+            for s, where, members in zip(i.tolist(), at_side.tolist(), np.split(code, offs[1:-1]), strict=True):
+                own[where][s] = members
+        both = [(np.array(list(x), np.int64), list(x.values())) for x in own]
+        return across(*both, percent) if sides else forest(*both[0], percent)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        ids, texts, now = [], [], None
+        ids, of, texts, now = [], [], [], None
         for batch in batches:
-            g, s, column = batch.column("g").to_numpy(), batch.column("s").to_numpy(), batch.column("t")
+            g, s, at_side, column = *(batch.column(c).to_numpy() for c in ("g", "s", "side")), batch.column("t")
             cuts = np.flatnonzero(np.r_[True, g[1:] != g[:-1]]) if len(g) else np.zeros(0, np.int64)
             out: list[tuple[int, int]] = []
             for a, b in zip(cuts.tolist(), [*cuts[1:].tolist(), len(g)], strict=True):
                 if g[a] != now and ids:
-                    out += solve(ids, texts)
-                    ids, texts = [], []
+                    out += solve(ids, of, texts)
+                    ids, of, texts = [], [], []
                 now = g[a]
                 ids.append(s[a:b].copy())
+                of.append(at_side[a:b].copy())
                 texts.append(column.slice(a, b - a))
             yield _pairs(out)
         if ids:
-            yield _pairs(solve(ids, texts))
+            yield _pairs(solve(ids, of, texts))
 
     return dealt.mapInArrow(at.lean(run), "u long, v long")
 
@@ -303,23 +330,33 @@ def _common(sets: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     return h[order], c[order]
 
 
-def _in_keys(held: DataFrame, label: DataFrame, sizes: DataFrame, stored: DataFrame, n: int, percent: int) -> DataFrame:
-    """Links between sets of different components that share a key (sig, s), in blocks of one set with some others."""
-    known = sizes.join(label.select(F.col("u").alias("s"), "root"), "s", "left").withColumn("root", F.coalesce("root", "s"))
-    placed = held.select("sig", "s").join(known, "s")
-    parts = placed.groupBy("sig", "root").agg(F.count("*").alias("k"))
-    major = parts.groupBy("sig").agg(F.max_by("root", F.struct("k", "root")).alias("major"), F.count("*").alias("parts")).where("parts > 1").select("sig", "major")
-    open_ = written(placed.join(major, "sig"), "sets-open")
-    left = open_.where("root != major").select("sig", F.col("s").alias("u"), F.col("n").alias("n1"), F.col("root").alias("r1"))
-    right = open_.select("sig", F.col("s").alias("v"), F.col("n").alias("n2"), F.col("root").alias("r2"), (F.col("root") == F.col("major")).alias("outer"))
-    # Of two sets outside the key's largest component, the lesser one leads.
-    pairs = left.join(right, "sig").where((F.col("r1") != F.col("r2")) & (F.col("outer") | (F.col("u") < F.col("v"))))
-    pairs = pairs.where(100 * F.least("n1", "n2") >= percent * F.greatest("n1", "n2")).select("u", "v").distinct()
+def _in_keys(held: DataFrame, label: DataFrame, best: DataFrame, sizes: DataFrame, stored: DataFrame, n: int, percent: int) -> DataFrame:
+    """Links between sets of different components that share a key (sig, s), tile against tile.
+
+    A tile holds up to about MINOR sets with one best pivot (p, s), which mostly share their keys, so that a key has few
+    tiles even where it has many sets; two tiles meet once, whatever number of keys they share.
+    """
+    pivots = best.union(best.select("p", F.col("p").alias("s")).distinct())  # a pivot can have a better one itself
+    pivots = pivots.groupBy("s").agg(F.max_by("p", F.col("p") != F.col("s")).alias("p"))
+    many = pivots.groupBy("p").agg(F.ceil(F.count("*") / MINOR).alias("k"))
+    tiles = pivots.join(many, "p").select("s", F.xxhash64("p", F.pmod(F.xxhash64("s", F.lit(7)), F.col("k"))).alias("tile"))
+    known = sizes.join(label.select(F.col("u").alias("s"), "root"), "s", "left").withColumn("root", F.coalesce("root", "s")).join(tiles, "s")
+    known = written(known.select("s", "n", "root", "tile"), "sets-known")
+    dealt = held.select("sig", "s").join(known, "s").select("sig", "tile", "root", "n").repartition("sig")
+    per = dealt.groupBy("sig", "tile").agg(F.min("root").alias("r0"), F.max("root").alias("r1"), F.min("n").alias("n0"), F.max("n").alias("n1"))
+    by_sig = Window.partitionBy("sig")
+    open_ = written(per.withColumns({"a": F.min("r0").over(by_sig), "b": F.max("r1").over(by_sig)}).where("a < b").drop("a", "b"), "sets-open")
+    left, right = (open_.select("sig", *[F.col(c).alias(f"{c}{x}") for c in ("tile", "r0", "r1", "n0", "n1")]) for x in "ab")
+    # Without those of which all sets are of one component, and those whose sizes are too far apart.
+    pairs = left.join(right, "sig").where("tilea <= tileb and (r0a < r1a or r0b < r1b or r0a != r0b)")
+    pairs = pairs.where(f"{percent} * n0a <= 100 * n1b and {percent} * n0b <= 100 * n1a").select("tilea", "tileb").distinct()
     pairs = written(pairs, "sets-pairs")
-    blocks = pairs.groupBy("u").agg(F.ceil(F.count("*") / MINOR).alias("blocks"))
-    dealt = pairs.join(blocks, "u").select("u", F.pmod(F.xxhash64("v", F.lit(7)), F.col("blocks")).alias("b"), F.col("v").alias("s"))
-    dealt = dealt.union(dealt.select("u", "b", F.col("u").alias("s")).distinct())
-    return _compare(dealt.join(stored, "s"), ["u", "b"], n, percent)
+    counted = pairs.join(known.groupBy(F.col("tile").alias("tileb")).agg(F.count("*").alias("k")), "tileb")
+    blocks = counted.groupBy("tilea").agg(F.ceil(F.sum("k") / MAJOR).alias("blocks"))
+    dealt = pairs.join(blocks, "tilea").select("tilea", F.pmod(F.xxhash64("tileb", F.lit(7)), F.col("blocks")).alias("b"), F.col("tileb").alias("tile"), F.lit(1).alias("side"))
+    dealt = dealt.union(dealt.select("tilea", "b", F.col("tilea").alias("tile"), F.lit(0).alias("side")).distinct())
+    placed = dealt.join(known.select("tile", "s"), "tile")
+    return _compare(placed.join(stored, "s"), ["tilea", "b"], n, percent, sides=True)
 
 
 def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3, percent: int = 90) -> DataFrame:
@@ -388,7 +425,7 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
     swept(docs.sparkSession)
 
     # First comparison: every set with the pivot that it shares most segments with, in blocks.
-    best = votes.groupBy("s").agg(F.max_by("p", F.struct("c", -F.col("p"))).alias("p"))
+    best = votes.groupBy("s").agg(F.max_by("p", F.struct("c", -F.col("p"))).alias("p")).select("p", "s")
     dealt = best.withColumn("b", F.row_number().over(Window.partitionBy("p", F.pmod(F.xxhash64("s"), F.lit(64))).orderBy("s")))
     dealt = dealt.withColumn("b", (F.pmod(F.xxhash64("s"), F.lit(64)) * F.lit(1 << 20) + F.floor(F.col("b") / MAJOR)).cast("long"))
     sizes = best.groupBy("p").agg(F.count("*").alias("k"))
@@ -398,7 +435,7 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
     swept(docs.sparkSession)
     label = connected(links)
     sizes = meta.where("n > 0").groupBy("s").agg(F.first("n").alias("n")).join(wanted.select("s"), "s")
-    more = _in_keys(held, label, sizes, stored, n, percent)
+    more = _in_keys(held, label, best, sizes, stored, n, percent)
     final = connected(written(links.union(more), "sets-all-links"))
     swept(docs.sparkSession)
 
