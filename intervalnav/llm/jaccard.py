@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 
 from . import arrowtext as at
 from .common import marked, swept, written
-from .components import connected
+from .components import HELD, connected
 
 STEP = 64
 SEGMENTED = 80  # least percentage that finds its candidates by segments
@@ -409,7 +409,7 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
     votes = held.where("s != p").groupBy("p", "s").agg(F.count("*").alias("c"))
     votes = written(votes, "sets-votes")
     swept(docs.sparkSession)  # the keys are the largest shuffle
-    cluster = connected(votes.select(F.col("p").alias("u"), F.col("s").alias("v")))
+    cluster = connected(votes.select(F.col("p").alias("u"), F.col("s").alias("v")), held=HELD)
     clusters = written(cluster.select(F.col("u").alias("s"), "root").union(cluster.select(F.col("root").alias("s"), "root").distinct()), "sets-clusters")
 
     # Texts of the candidate sets, from one document of each: shorter than the sets, which are made again where they meet.
@@ -433,10 +433,10 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
     dealt = dealt.union(dealt.select("p", "b", F.col("p").alias("s")).distinct())
     links = written(_compare(dealt.join(stored, "s"), ["p", "b"], n, percent), "sets-links")
     swept(docs.sparkSession)
-    label = connected(links)
+    label = connected(links, held=HELD)
     sizes = meta.where("n > 0").groupBy("s").agg(F.first("n").alias("n")).join(wanted.select("s"), "s")
     more = _in_keys(held, label, best, sizes, stored, n, percent)
-    final = connected(written(links.union(more), "sets-all-links"))
+    final = connected(written(links.union(more), "sets-all-links"), held=HELD)
     swept(docs.sparkSession)
 
     by_set = firsts.withColumnRenamed("doc_id", "first").join(final.withColumnRenamed("u", "s"), "s", "left").withColumn("root", F.coalesce("root", "s"))
