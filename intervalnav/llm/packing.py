@@ -14,6 +14,7 @@ from __future__ import annotations
 import os
 import zlib
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -23,11 +24,12 @@ from pyspark.sql import functions as F
 from . import arrowtext as at
 
 NODES = 20_000
-CACHE = 400_000
+CACHE = 400_000  # words of a generation
+LINE = 512  # words that are coded at once
 
 
 class WordTokens:
-    """Ids of the words of a text, with a bounded memory of words already tokenised.
+    """Ids of the words of a text, with a memory of words already tokenised, bounded to two generations of them.
 
     The tokenizer drops white space and never joins two words, so a text's ids are those of its words.
     Words are known by 64-bit hashes.
@@ -45,10 +47,42 @@ class WordTokens:
         self.start = np.zeros(0, np.int64)
         self.size = np.zeros(0, np.int64)
         self.flat = np.zeros(0, np.uint32)
+        self.old = self.keys, self.start, self.size, self.flat
 
     def whole(self, texts: list[str]) -> list[list[int]]:
         return [x.ids for x in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
+    def each(self, words: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of the words one after another, and how many each has; words are coded by the line, which costs less."""
+        lines = [words[i : i + LINE] for i in range(0, len(words), LINE)]
+        flat, sizes = [], []
+        for line, coded in zip(lines, self.tokenizer.encode_batch([" ".join(x) for x in lines], add_special_tokens=False), strict=True):
+            ids, spans = np.array(coded.ids, np.uint32), np.fromiter(chain.from_iterable(coded.offsets), np.int64).reshape(-1, 2)
+            length = np.fromiter(map(len, line), np.int64, len(line))
+            end = np.cumsum(length + 1) - 1
+            word = np.minimum(np.searchsorted(end, spans[:, 0], "right"), len(line) - 1)
+            if ((spans[:, 0] < (end - length)[word]) | (spans[:, 1] > end[word]) | (spans[:, 0] >= spans[:, 1])).any() or (word[1:] < word[:-1]).any():
+                alone = self.whole(line)  # an id that is not of one word's characters
+                ids, size = np.array([i for x in alone for i in x], np.uint32), np.fromiter(map(len, alone), np.int64, len(alone))
+            else:
+                size = np.bincount(word, minlength=len(line))
+            flat.append(ids)
+            sizes.append(size)
+        return np.concatenate(flat), np.concatenate(sizes)
+
+    def _learn(self, keys: np.ndarray, flat: np.ndarray, size: np.ndarray) -> None:
+        """Keys are ascending and not yet known."""
+        at_ = np.searchsorted(self.keys, keys)
+        start = len(self.flat) + np.cumsum(size) - size
+        self.keys, self.start, self.size = np.insert(self.keys, at_, keys), np.insert(self.start, at_, start), np.insert(self.size, at_, size)
+        self.flat = np.concatenate([self.flat, flat])
+
+    @staticmethod
+    def _missing(keys: np.ndarray, known: np.ndarray) -> np.ndarray:
+        if not len(known):
+            return np.ones(len(keys), bool)
+        return known[np.minimum(np.searchsorted(known, keys), len(known) - 1)] != keys
+
     def encode(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """All ids, and the row offsets into them."""
         data, offs = at.string_buffers(column)
@@ -56,18 +90,19 @@ class WordTokens:
         hashes = at.span_hashes(data, starts, ends)
         unique, first, inverse = np.unique(hashes, return_index=True, return_inverse=True)
         if len(self.keys) + len(unique) > CACHE:
+            old = self.keys, self.start, self.size, self.flat
             self.clear()
-        missing = np.flatnonzero(~np.isin(unique, self.keys, assume_unique=True)) if len(self.keys) else np.arange(len(unique))
+            self.old = old
+        missing = np.flatnonzero(self._missing(unique, self.keys))
+        if len(missing) and len(self.old[0]):
+            keys, start, size, flat = self.old
+            again = unique[missing[~self._missing(unique[missing], keys)]]
+            slot = np.searchsorted(keys, again)
+            self._learn(again, flat[at.ragged(start[slot], size[slot])], size[slot])
+            missing = np.flatnonzero(self._missing(unique, self.keys))
         if len(missing):
             raw = data.tobytes()
-            spans = [raw[starts[i] : ends[i]].decode() for i in first[missing]]
-            ids = self.whole(spans)
-            size = np.fromiter(map(len, ids), np.int64, len(ids))
-            start = len(self.flat) + np.cumsum(size) - size
-            self.flat = np.concatenate([self.flat, np.fromiter((x for i in ids for x in i), np.uint32, int(size.sum()))])
-            keys = np.concatenate([self.keys, unique[missing]])
-            order = np.argsort(keys)
-            self.keys, self.start, self.size = keys[order], np.concatenate([self.start, start])[order], np.concatenate([self.size, size])[order]
+            self._learn(unique[missing], *self.each([raw[starts[i] : ends[i]].decode() for i in first[missing]]))
         slot = np.searchsorted(self.keys, unique)[inverse]
         size = self.size[slot]
         flat = self.flat[at.ragged(self.start[slot], size)]
