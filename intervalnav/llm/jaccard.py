@@ -7,7 +7,10 @@
    more than e empty segments also takes part in further divisions of its class, until it has fewer; so two
    sets that agree only in empty segments meet in a later division.
 3. Sets that share a segment with another one are candidates; two sets that link share one.
-4. Sets are compared in prefix trees: the sorted sets of a group are stored in a trie with edges of
+4. Every set has a sketch: the parity of its hashes in each of as many buckets as it has members, about. The buckets
+   in which two sketches differ are at most the n-grams in which the sets differ, so sketches refute pairs that
+   cannot link, and only sets with a pair left have their texts moved.
+5. Sets are compared in prefix trees: the sorted sets of a group are stored in a trie with edges of
    ``STEP`` n-grams; a probe walks all live nodes of a level at once, each node's overlap is computed once for
    all sets below it, and a subtree ends where what is left of the probe and of its sets cannot reach the
    needed overlap. First every set meets its best pivot, in blocks; then, where the sets of one segment are not yet
@@ -76,6 +79,50 @@ def set_ids(code: np.ndarray, offs: np.ndarray) -> np.ndarray:
     return out.view(np.int64)
 
 
+def sketches(code: np.ndarray, offs: np.ndarray) -> list[bytes]:
+    """The parity of every row's hashes by their low bits, in 64 buckets or the next power of two from its size."""
+    size = np.diff(offs)
+    wide = np.int64(1) << np.ceil(np.log2(np.maximum(size, 64))).astype(np.int64)
+    ends = np.cumsum(wide)
+    base = np.repeat(ends - wide, size)
+    bucket = base + (code & np.repeat(wide - 1, size).astype(np.uint64)).astype(np.int64)
+    parity = np.bincount(bucket, minlength=int(ends[-1]) if len(ends) else 0) & 1
+    raw = np.packbits(parity.astype(np.uint8), bitorder="little").tobytes()
+    return [raw[a // 8 : b // 8] for a, b in zip((ends - wide).tolist(), ends.tolist(), strict=True)]
+
+
+def unrefuted(size: np.ndarray, root: np.ndarray, side: np.ndarray | None, bits: list[bytes], percent: int) -> np.ndarray:
+    """Whether a set may link with another of a different root (and of the other side, 0 and 1): exact, since sketches
+    of two sets differ in at most as many buckets as the sets in members."""
+    out = np.zeros(len(size), bool)
+    width = np.array([len(b) // 8 for b in bits], np.int64)
+    words = {w: np.frombuffer(b"".join(b for b in bits if len(b) == 8 * w), np.uint64).reshape(-1, w) for w in np.unique(width).tolist()}
+    of = {w: np.flatnonzero(width == w) for w in words}
+
+    def folded(x: np.ndarray, w: int) -> np.ndarray:
+        while x.shape[1] > w:
+            x = x[:, : x.shape[1] // 2] ^ x[:, x.shape[1] // 2 :]
+        return x
+
+    for wa in words:
+        for wb in words:
+            if side is None and wb < wa:
+                continue
+            a, b = (of[wa], of[wb]) if side is None else (of[wa][side[of[wa]] == 0], of[wb][side[of[wb]] == 1])
+            if not len(a) or not len(b) or size[a].max() * 100 < percent * size[b].min() or size[b].max() * 100 < percent * size[a].min():
+                continue
+            w = min(wa, wb)
+            x, y = (folded(words[v][np.searchsorted(of[v], i)], w) for v, i in ((wa, a), (wb, b)))
+            step = max(1, (1 << 18) // (len(b) * w))
+            for i in range(0, len(a), step):
+                some = a[i : i + step]
+                apart = np.maximum(np.bitwise_count(x[i : i + step, None, :] ^ y[None, :, :]).sum(2, dtype=np.int64), np.abs(size[some][:, None] - size[b][None, :]))
+                may = (apart * (100 + percent) <= (size[some][:, None] + size[b][None, :]) * (100 - percent)) & (root[some][:, None] != root[b][None, :])
+                out[some[may.any(1)]] = True
+                out[b[may.any(0)]] = True
+    return out
+
+
 class Classes:
     """Size classes, their number of segments, and who takes part where.
 
@@ -263,6 +310,35 @@ def across(left: tuple[np.ndarray, list[np.ndarray]], right: tuple[np.ndarray, l
     return out
 
 
+def _open(groups: DataFrame, keys: list[str], percent: int, sides: bool = False) -> DataFrame:
+    """The rows (g, side, s) of every group of (s, side, root, n, bits) whose sets the sketches leave a partner."""
+    side = F.col("side") if sides else F.lit(0)
+    dealt = groups.select(F.xxhash64(*keys).alias("g"), side.cast("int").alias("side"), "s", "root", "n", "bits").repartition("g").sortWithinPartitions("g")
+
+    def solve(g: int, parts: list[pa.RecordBatch]) -> pa.RecordBatch:
+        own = pa.Table.from_batches(parts)
+        size, root, at_side = (own.column(c).to_numpy() for c in ("n", "root", "side"))
+        stay = np.flatnonzero(unrefuted(size, root, at_side if sides else None, own.column("bits").to_pylist(), percent))
+        return pa.RecordBatch.from_arrays([pa.array(np.full(len(stay), g)), pa.array(at_side[stay]), pa.array(own.column("s").to_numpy()[stay])], names=["g", "side", "s"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        parts: list[pa.RecordBatch] = []
+        now = None
+        for batch in batches:
+            g = batch.column("g").to_numpy()
+            cuts = np.flatnonzero(np.r_[True, g[1:] != g[:-1]]) if len(g) else np.zeros(0, np.int64)
+            for a, b in zip(cuts.tolist(), [*cuts[1:].tolist(), len(g)], strict=True):
+                if g[a] != now and parts:
+                    yield solve(now, parts)
+                    parts = []
+                now = int(g[a])
+                parts.append(batch.slice(a, b - a))
+        if parts:
+            yield solve(now, parts)
+
+    return dealt.mapInArrow(run, "g long, side int, s long")
+
+
 def _compare(groups: DataFrame, keys: list[str], n: int, percent: int, sides: bool = False) -> DataFrame:
     """Links (u, v) found in every group of (s, t), or with ``sides`` between those of its two sides (s, side, t).
 
@@ -330,8 +406,8 @@ def _common(sets: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     return h[order], c[order]
 
 
-def _in_keys(held: DataFrame, label: DataFrame, best: DataFrame, sizes: DataFrame, stored: DataFrame, n: int, percent: int) -> DataFrame:
-    """Links between sets of different components that share a key (sig, s), tile against tile.
+def _in_keys(held: DataFrame, label: DataFrame, best: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Rows (g, side, s) of the groups in which sets of different components that share a key (sig, s) meet, tile against tile.
 
     A tile holds up to about MINOR sets with one best pivot (p, s), which mostly share their keys, so that a key has few
     tiles even where it has many sets; two tiles meet once, whatever number of keys they share.
@@ -340,7 +416,7 @@ def _in_keys(held: DataFrame, label: DataFrame, best: DataFrame, sizes: DataFram
     pivots = pivots.groupBy("s").agg(F.max_by("p", F.col("p") != F.col("s")).alias("p"))
     many = pivots.groupBy("p").agg(F.ceil(F.count("*") / MINOR).alias("k"))
     tiles = pivots.join(many, "p").select("s", F.xxhash64("p", F.pmod(F.xxhash64("s", F.lit(7)), F.col("k"))).alias("tile"))
-    known = sizes.join(label.select(F.col("u").alias("s"), "root"), "s", "left").withColumn("root", F.coalesce("root", "s")).join(tiles, "s")
+    known = sets.select("s", "n").join(label.select(F.col("u").alias("s"), "root"), "s", "left").withColumn("root", F.coalesce("root", "s")).join(tiles, "s")
     known = written(known.select("s", "n", "root", "tile"), "sets-known")
     dealt = held.select("sig", "s").join(known, "s").select("sig", "tile", "root", "n").repartition("sig")
     per = dealt.groupBy("sig", "tile").agg(F.min("root").alias("r0"), F.max("root").alias("r1"), F.min("n").alias("n0"), F.max("n").alias("n1"))
@@ -355,8 +431,8 @@ def _in_keys(held: DataFrame, label: DataFrame, best: DataFrame, sizes: DataFram
     blocks = counted.groupBy("tilea").agg(F.ceil(F.sum("k") / MAJOR).alias("blocks"))
     dealt = pairs.join(blocks, "tilea").select("tilea", F.pmod(F.xxhash64("tileb", F.lit(7)), F.col("blocks")).alias("b"), F.col("tileb").alias("tile"), F.lit(1).alias("side"))
     dealt = dealt.union(dealt.select("tilea", "b", F.col("tilea").alias("tile"), F.lit(0).alias("side")).distinct())
-    placed = dealt.join(known.select("tile", "s"), "tile")
-    return _compare(placed.join(stored, "s"), ["tilea", "b"], n, percent, sides=True)
+    placed = dealt.join(known.select("tile", "s", "root"), "tile")
+    return _open(placed.join(sets, "s"), ["tilea", "b"], percent, sides=True)
 
 
 def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int = 3, percent: int = 90) -> DataFrame:
@@ -368,7 +444,7 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
         for batch in batches:
             for part in at.blocks(batch, "t"):
                 code, offs = sets_of(part.column("t"), n)
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(np.diff(offs)), pa.array(set_ids(code, offs))], names=["doc_id", "n", "s"])
+                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(np.diff(offs)), pa.array(set_ids(code, offs)), pa.array(sketches(code, offs), pa.binary())], names=["doc_id", "n", "s", "bits"])
 
     def members(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -378,7 +454,7 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
                 cut = [raw[8 * a : 8 * b] for a, b in zip(offs[:-1].tolist(), offs[1:].tolist(), strict=True)]
                 yield pa.RecordBatch.from_arrays([pa.array(set_ids(code, offs)), pa.array(cut, pa.binary())], names=["s", "members"])
 
-    meta = written(source.mapInArrow(at.lean(describe), "doc_id long, n long, s long"), "sets-meta")
+    meta = written(source.mapInArrow(at.lean(describe), "doc_id long, n long, s long, bits binary"), "sets-meta")
     segmented = percent >= SEGMENTED
     common = None
     if not segmented:
@@ -409,20 +485,23 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
     votes = held.where("s != p").groupBy("p", "s").agg(F.count("*").alias("c"))
     votes = written(votes, "sets-votes")
     swept(docs.sparkSession)  # the keys are the largest shuffle
-    cluster = connected(votes.select(F.col("p").alias("u"), F.col("s").alias("v")), held=HELD)
-    clusters = written(cluster.select(F.col("u").alias("s"), "root").union(cluster.select(F.col("root").alias("s"), "root").distinct()), "sets-clusters")
+    # Of every candidate set one document and its sketch.
+    firsts = meta.where("n > 0").groupBy("s").agg(F.min("doc_id").alias("doc_id"))
+    candidates = held.select("s").distinct().hint("merge")
+    sets = written(meta.where("n > 0").join(candidates, "s").groupBy("s").agg(F.min("doc_id").alias("doc_id"), F.first("n").alias("n"), F.first("bits").alias("bits")), "sets-sketched")
+    firsts_of, sets = sets.select("s", "doc_id"), sets.select("s", "n", "bits")
 
-    # Texts of the candidate sets, from one document of each: shorter than the sets, which are made again where they meet.
+    # Texts of the sets that have a partner left, from one document of each: shorter than the sets, which are made again where they meet.
     def named(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in at.blocks(batch, "t"):
                 yield pa.RecordBatch.from_arrays([pa.array(set_ids(*sets_of(part.column("t"), n))), part.column("t")], names=["s", "t"])
 
-    firsts = meta.where("n > 0").groupBy("s").agg(F.min("doc_id").alias("doc_id"))
-    wanted = written(firsts.join(clusters, "s", "left_semi").select("s", "doc_id"), "sets-wanted")
-    texts = _of(source, wanted.select("doc_id"))
-    stored = written(texts.mapInArrow(at.lean(named), "s long, t string"), "sets-texts")
-    swept(docs.sparkSession)
+    def linked(groups: DataFrame, name: str, sides: bool = False) -> DataFrame:
+        left = written(groups, f"{name}-left")
+        texts = _of(source, firsts_of.join(left.select("s").distinct(), "s").select("doc_id"))
+        stored = written(texts.mapInArrow(at.lean(named), "s long, t string"), f"{name}-texts")
+        return written(_compare(left.join(stored, "s"), ["g"], n, percent, sides), name)
 
     # First comparison: every set with the pivot that it shares most segments with, in blocks.
     best = votes.groupBy("s").agg(F.max_by("p", F.struct("c", -F.col("p"))).alias("p")).select("p", "s")
@@ -431,11 +510,10 @@ def components(docs: DataFrame, key: str = "doc_id", text: str = "text", n: int
     sizes = best.groupBy("p").agg(F.count("*").alias("k"))
     dealt = dealt.join(sizes, "p").withColumn("b", F.when(F.col("k") <= MAJOR, F.lit(0)).otherwise(F.col("b"))).select("p", "b", "s")
     dealt = dealt.union(dealt.select("p", "b", F.col("p").alias("s")).distinct())
-    links = written(_compare(dealt.join(stored, "s"), ["p", "b"], n, percent), "sets-links")
+    links = linked(_open(dealt.join(sets, "s").withColumn("root", F.col("s")), ["p", "b"], percent), "sets-links")
     swept(docs.sparkSession)
     label = connected(links, held=HELD)
-    sizes = meta.where("n > 0").groupBy("s").agg(F.first("n").alias("n")).join(wanted.select("s"), "s")
-    more = _in_keys(held, label, best, sizes, stored, n, percent)
+    more = linked(_in_keys(held, label, best, sets, percent), "sets-more-links", sides=True)
     final = connected(written(links.union(more), "sets-all-links"), held=HELD)
     swept(docs.sparkSession)
 
